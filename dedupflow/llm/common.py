@@ -114,5 +114,5 @@ def window_hashes(h: np.ndarray, k: int) -> np.ndarray:
         if rest:
             base = base[:-size] * power + base[size:] if len(base) > size else base[:0]
             size *= 2
-            power = power * power + np.uint64(2)
+            power = np.uint64((int(power) ** 2 + 2) % (1 << 64))
     return mixed(acc)
