@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import embedding_dup, language_id, near_dup, packing, token_counts, toxicity, warc
+from . import embedding_dup, language_id, near_dup, packing, substring_dup, token_counts, toxicity, warc
 from .common import bucket_of
 
 
@@ -41,6 +41,10 @@ def op4_embedding_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_dup.near_vectors(table(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label"), 0.93)
 
 
+def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dup.removal(table(spark, sf_dir, "documents").select("doc_id", "text"), 20)
+
+
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     held = F.coalesce(bucket_of("doc_id", 5) == 0, F.lit(False))
@@ -70,6 +74,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op3_near_duplicates": op3_near_duplicates,
     "op4_embedding_near_dup": op4_embedding_near_dup,
+    "op5_substring_dedup": op5_substring_dedup,
     "op6_language_id": op6_language_id,
     "op7_toxicity": op7_toxicity,
     "op8_warc": op8_warc,
@@ -97,6 +102,15 @@ reach AS (SELECT vec_id AS u, vec_id AS v FROM v UNION SELECT r.u, l.v FROM reac
 comp AS (SELECT u AS vec_id, min(v) AS component_id FROM reach GROUP BY u),
 n AS (SELECT u AS vec_id, count(*) AS n_links FROM links GROUP BY u)
 SELECT vec_id, CAST(coalesce(n_links, 0) AS BIGINT) AS n_links, component_id, vec_id = component_id AS kept FROM comp LEFT JOIN n USING (vec_id)""",
+    "op5_substring_dedup": """
+WITH words AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda w: w <> '') AS w FROM documents),
+windows AS (SELECT doc_id, i AS start, array_to_string(w[i:i + 19], ' ') AS k FROM (SELECT doc_id, w, unnest(range(1, len(w) - 18)) AS i FROM words WHERE len(w) >= 20)),
+again AS (SELECT doc_id, start FROM (SELECT doc_id, start, row_number() OVER (PARTITION BY k ORDER BY doc_id, start) AS r FROM windows) WHERE r > 1),
+gone AS (SELECT DISTINCT doc_id, unnest(range(start, start + 20)) AS p FROM again),
+lost AS (SELECT doc_id, list(p) AS ps FROM gone GROUP BY doc_id)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(len(ps), 0) AS BIGINT) AS n_removed,
+  sha256(CASE WHEN ps IS NULL THEN array_to_string(w, ' ') ELSE coalesce(array_to_string(list_transform(list_filter(range(1, len(w) + 1), lambda i: NOT list_contains(ps, i)), lambda i: w[i]), ' '), '') END) AS kept_sha256
+FROM words LEFT JOIN lost USING (doc_id)""",
     "op8_warc": """
 WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
 d AS (SELECT page_id, octet_length(encode(html)) AS payload_bytes, sha1(html) AS hex, min(page_id) OVER (PARTITION BY sha1(html)) AS first_id FROM p)
