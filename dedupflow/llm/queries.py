@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import embedding_dup, language_id, near_dup, packing, substring_dup, token_counts, toxicity, warc
+from . import decontaminate, embedding_dup, language_id, license_scan, near_dup, packing, substring_dup, token_counts, toxicity, warc
 from .common import bucket_of
 
 
@@ -33,6 +33,10 @@ def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(docs, tokenizer_path("byte_bpe_50k.json"), tokenizer_path(packing.RANKS), pre_token_pattern(), 2048)
 
 
+def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark").select("item_id", "text"))
+
+
 def op3_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"), 2, 80)
 
@@ -70,8 +74,13 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer_path("word_bpe_49k.json"), 2048)
 
 
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
+    "op2_decontamination": op2_decontamination,
     "op3_near_duplicates": op3_near_duplicates,
     "op4_embedding_near_dup": op4_embedding_near_dup,
     "op5_substring_dedup": op5_substring_dedup,
@@ -79,13 +88,27 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_toxicity": op7_toxicity,
     "op8_warc": op8_warc,
     "op9_token_counts": op9_token_counts,
+    "op10_license_scan": op10_license_scan,
 }
 
 _SHINGLES = """
 words AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda w: w <> '') AS w FROM documents),
 sets AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 2 THEN [w[1]] ELSE list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) END AS s FROM words)"""
 
+_TEMPLATE_ROWS = ", ".join("(" + ", ".join("'" + x.replace("'", "''") + "'" for x in (name, text)) + ")" for name, texts in license_scan.TEMPLATES.items() for text in texts)
+_BIGRAMS = "CASE WHEN len(w) > 1 THEN list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) ELSE w END"
+
 ORACLE_SQL: dict[str, str] = {
+    "op10_license_scan": f"""
+WITH templates(license, t) AS (VALUES {_TEMPLATE_ROWS}),
+tw AS (SELECT license, regexp_extract_all(lower(t), '[a-z0-9]+') AS w FROM templates),
+tg AS (SELECT license, {_BIGRAMS} AS g FROM tw),
+paragraphs AS (SELECT doc_id, text, unnest(regexp_split_to_array(text, '\\n[^\\S\\n]*\\n\\s*')) AS p FROM documents WHERE text IS NOT NULL),
+pieces AS (SELECT doc_id, unnest(string_split(p, chr(10))) AS s FROM paragraphs UNION ALL SELECT doc_id, p FROM paragraphs UNION ALL SELECT doc_id, text FROM documents WHERE text IS NOT NULL),
+pw AS (SELECT doc_id, regexp_extract_all(lower(s), '[a-z0-9]+') AS w FROM (SELECT DISTINCT doc_id, s FROM pieces)),
+pg AS (SELECT doc_id, {_BIGRAMS} AS g FROM pw WHERE len(w) BETWEEN 1 AND 2000),
+scored AS (SELECT doc_id, license, 2 * len(list_intersect(pg.g, tg.g)) / (len(pg.g) + len(tg.g)) AS dice FROM pg JOIN tg ON len(pg.g) <= len(tg.g) * 1.5001 AND len(tg.g) <= len(pg.g) * 1.5001)
+SELECT doc_id, license, CAST(max(dice) AS DOUBLE) AS dice FROM scored WHERE dice >= 0.8 GROUP BY doc_id, license""",
     "op3_near_duplicates": f"""
 WITH RECURSIVE {_SHINGLES},
 items AS (SELECT doc_id, len(s) AS n, unnest(s) AS x FROM sets),
