@@ -91,6 +91,35 @@ def train(labelled: DataFrame, rows_per_language: int = 1500, min_word: int = 4,
     return LanguageModel(languages, _posterior(tables[0], languages, sums[0], add, floor), _posterior(tables[1], languages, sums[1], add, floor))
 
 
+class Labeller:
+    """Labels texts one after the other, with a bounded memo of tokens."""
+
+    def __init__(self, model: LanguageModel):
+        self.model, self.n = model, len(model.languages)
+        self.memo = Memo(self._vector)
+
+    def _vector(self, token: str) -> tuple[float, ...]:
+        found = _LETTERS.findall(token.lower())
+        if not found:
+            return (0.0,) * (self.n + 1)
+        own = [self.model.word(w) for w in found]
+        return (*(sum(x) for x in zip(*own)), float(len(own)))
+
+    def label(self, text: str | None) -> tuple[str, float]:
+        tokens = (text or "").split()
+        if not tokens or not self.n:
+            return UNKNOWN, 0.0
+        sums = np.zeros(self.n + 1)
+        for i in range(0, len(tokens), 100_000):
+            sums += np.array(list(map(self.memo.__getitem__, tokens[i : i + 100_000]))).sum(0)
+        words = sums[-1]
+        if not words:
+            return UNKNOWN, 0.0
+        mean = sums[:-1] / words * min(words, 20)
+        p = np.exp(mean - mean.max())
+        return self.model.languages[int(p.argmax())], float(p.max() / p.sum())
+
+
 def predict(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, lang_pred, score) for every row, from its whole text alone.
 
@@ -101,38 +130,25 @@ def predict(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_
     sent = docs.sparkSession.sparkContext.broadcast(model)  # bounded by rows_per_language
 
     def label(batches):
-        model = sent.value
-        n_lang = len(model.languages)
-        vectors: list[tuple[float, ...]] = []
-
-        def vector(token: str) -> tuple[float, ...]:
-            found = _LETTERS.findall(token.lower())
-            if not found:
-                return (0.0,) * (n_lang + 1)
-            own = [model.word(w) for w in found]
-            return (*(sum(x) for x in zip(*own)), float(len(own)))
-
-        memo = Memo(vector)
+        own = Labeller(sent.value)
         for b in batches:
-            langs, scores = [], []
-            for text in b.column(1).to_pylist():
-                tokens = (text or "").split()
-                if not tokens or not n_lang:
-                    langs.append(UNKNOWN)
-                    scores.append(0.0)
-                    continue
-                vectors = np.zeros(n_lang + 1)
-                for i in range(0, len(tokens), 100_000):
-                    vectors += np.array(list(map(memo.__getitem__, tokens[i : i + 100_000]))).sum(0)
-                words = vectors[-1]
-                if not words:
-                    langs.append(UNKNOWN)
-                    scores.append(0.0)
-                    continue
-                mean = vectors[:-1] / words * min(words, 20)
-                p = np.exp(mean - mean.max())
-                langs.append(model.languages[int(p.argmax())])
-                scores.append(float(p.max() / p.sum()))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
+            made = [own.label(t) for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([l for l, _ in made], pa.string()), pa.array([p for _, p in made], pa.float64())], ["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(label, "doc_id long, lang_pred string, score double")
+
+
+def accepted(docs: DataFrame, model: LanguageModel, least_score: float = 0.35) -> DataFrame:
+    """The rows of ``docs`` whose text is of a known language with ``least_score`` or more, with all their columns.
+
+    Null texts and texts without a letter go.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast(model)  # bounded by rows_per_language
+
+    def keep(batches):
+        own = Labeller(sent.value)
+        for b in batches:
+            made = [own.label(t) for t in b.column("text").to_pylist()]
+            yield b.filter(pa.array([l != UNKNOWN and p >= least_score for l, p in made], pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)
