@@ -96,7 +96,7 @@ class Labeller:
 
     def __init__(self, model: LanguageModel):
         self.model, self.n = model, len(model.languages)
-        self.memo = Memo(self._vector)
+        self.memo = Memo(self._vector, 200_000)
 
     def _vector(self, token: str) -> tuple[float, ...]:
         found = _LETTERS.findall(token.lower())

@@ -24,8 +24,6 @@ from .common import discard, mixed, window_hashes, word_hashes, written
 GRAM = 8
 #: Contexts of one anchor that one automaton takes.
 SHARD = 4096
-#: Bytes of per-document positions up to which they are broadcast to the pass over the texts; beyond, texts are shuffled.
-BROADCAST_BYTES = 32 << 20
 
 
 class SuffixAutomaton:
@@ -152,10 +150,8 @@ def _anchors(docs: DataFrame, width: int) -> DataFrame:
 
 
 def _with_positions(docs: DataFrame, positions: DataFrame, how: str) -> DataFrame:
-    """Documents with their ``spots``; the positions are broadcast if their size allows, else the texts are shuffled."""
-    per = written(positions.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list("spot").alias("spots")), "positions")
-    size = per.agg(F.sum(F.size("spots") * 16 + 32)).first()[0] or 0
-    return docs.join(F.broadcast(per) if size <= BROADCAST_BYTES else per, "doc_id", how)
+    """Documents with their ``spots``. The texts are shuffled by id at every size; a document's spots are bounded by its words."""
+    return docs.join(positions.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list("spot").alias("spots")), "doc_id", how)
 
 
 def _texts_of(docs: DataFrame, firsts: DataFrame, width: int) -> DataFrame:
