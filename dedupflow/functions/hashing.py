@@ -50,9 +50,18 @@ def fnv1a64_of(values: pd.Series) -> pd.Series:
     return pd.Series(h.view(np.int64)).where(pd.Series([v is not None for v in values]))
 
 
-@F.pandas_udf("long")
-def fnv1a64(values: pd.Series) -> pd.Series:
-    return fnv1a64_of(values)
+def fnv1a64_udf():
+    """The Arrow function over a session that is there (a module must import on executors without one)."""
+
+    @F.pandas_udf("long")
+    def fnv(values: pd.Series) -> pd.Series:
+        return fnv1a64_of(values)
+
+    return fnv
+
+
+def fnv1a64(value: Column | str) -> Column:
+    return fnv1a64_udf()(value)
 
 
 def arrival_ms(sid: Column) -> Column:
@@ -109,6 +118,6 @@ def toy_inverse(mask: Column) -> Column:
 
 def register(spark: SparkSession) -> None:
     """SQL names: protected_tag(content), claim_order(sent, seq, sid), fnv1a64(text)."""
-    spark.udf.register("fnv1a64", fnv1a64)
+    spark.udf.register("fnv1a64", fnv1a64_udf())
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION protected_tag(content STRING) RETURNS STRING RETURN sha2(content, 256)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION claim_order(sent BIGINT, seq BIGINT, sid BIGINT) RETURNS BIGINT RETURN sent * 1000000000000 + seq * 1000 + sid")

@@ -35,7 +35,7 @@ def buckets(sets: DataFrame, bands: int, rows: int) -> DataFrame:
     return sets.where(F.size("s") > 0).select("id", F.explode(keys).alias("bucket"))
 
 
-def links(sets: DataFrame, placed: DataFrame, similarity: float, each: int = 4) -> DataFrame:
+def links(sets: DataFrame, placed: DataFrame, similarity: float, each: int = 16) -> DataFrame:
     """(u, v): verified links that connect every component which the buckets can show."""
     shared = placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket")
     members = written(placed.join(shared, "bucket"), "members")

