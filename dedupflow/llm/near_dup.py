@@ -9,8 +9,9 @@
    compared with a few pivots at a time, and members outside the group's main component become pivots in turn, so no
    link between different components can be missed and no pair of the main component need be listed.
 
-A similar pair at the threshold shares a token of a level with probability ``similarity``; with the levels below a tree
-finds it with probability 0.68 at least, so twelve trees miss about one pair in a million.
+A similar pair at the threshold shares a token of a level with probability ``similarity``. A tree finds it with that
+probability if the first node is small and with 0.61 if it takes all levels, so twelve trees miss one pair in 2 * 10^8
+and one in 80,000; closer pairs far fewer.
 """
 
 from __future__ import annotations
@@ -26,9 +27,11 @@ from .components import Forest, components
 
 TREES = 12
 #: Tokens selected per level; level 1 names a tree's first node.
-BRANCH = (1, 2, 2, 1, 1)
-SLOTS = TREES * sum(BRANCH)
-LEAF, LAST_LEAF = 256, 4096
+BRANCH = (1, 2, 1, 1)
+#: Independent minwise tokens per signature: one for every selection of every tree, the rest only for comparisons.
+SLOTS = 84
+PATHS = TREES * sum(BRANCH)
+LEAF, LAST_LEAF = 1024, 4096
 GROUP_DOCS, GROUP_SHINGLES = 400, 2_000_000
 #: Signatures agree in at least this share of slots if the similarity is 0.8 (5.5 standard errors below).
 SLACK = 5.5
@@ -56,19 +59,23 @@ def signature(s: np.ndarray) -> np.ndarray:
 
 
 def _features(docs: DataFrame, k: int) -> DataFrame:
+    """(doc_id, n, d1, d2, sig, short): set size, digest, tokens for paths, and a byte of every minwise token for comparisons."""
+
     def make(batches):
         for b in batches:
-            n, d1, d2, sig = [], [], [], []
+            n, d1, d2, sig, short = [], [], [], [], []
             for text in b.column(1).to_pylist():
                 s = shingles(text, k)
                 d = xxhash.xxh3_128_intdigest(s.tobytes())
                 n.append(len(s))
                 d1.append((d >> 64) - (1 << 63))
                 d2.append((d & (1 << 64) - 1) - (1 << 63))
-                sig.append(signature(s).tobytes() if len(s) else b"")
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(sig, pa.binary())], ["doc_id", "n", "d1", "d2", "sig"])
+                own = signature(s) if len(s) else np.empty(0, np.uint32)
+                sig.append(own[:PATHS].tobytes())
+                short.append(own.astype(np.uint8).tobytes())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(sig, pa.binary()), pa.array(short, pa.binary())], ["doc_id", "n", "d1", "d2", "sig", "short"])
 
-    return docs.mapInArrow(make, "doc_id long, n long, d1 long, d2 long, sig binary")
+    return docs.mapInArrow(make, "doc_id long, n long, d1 long, d2 long, sig binary, short binary")
 
 
 def _paths(sig: np.ndarray, level: int) -> np.ndarray:
@@ -85,18 +92,24 @@ def _paths(sig: np.ndarray, level: int) -> np.ndarray:
 
 
 def _nodes(reps: DataFrame, level: int) -> DataFrame:
-    """(node, up, rep): each class at its nodes of ``level``; ``up`` is the node above."""
+    """(node, rep): each class at its nodes of ``level``, of those below the large nodes ``up`` that it was at (all at level 1)."""
 
     def expand(batches):
         for b in batches:
-            sig = np.stack([np.frombuffer(x, np.uint32) for x in b.column(1).to_pylist()]) if b.num_rows else np.zeros((0, SLOTS), np.uint32)
-            keys = _paths(sig, level)
-            up = np.repeat(_paths(sig, level - 1), BRANCH[level - 1], 1) if level > 1 else keys
+            if not b.num_rows:
+                continue
+            sig = np.stack([np.frombuffer(x, np.uint32) for x in b.column(1).to_pylist()])
+            keys = _paths(sig, level).view(np.int64)
             rep = np.repeat(b.column(0).to_numpy(zero_copy_only=False), keys.shape[1])
+            keys = keys.ravel()
+            if level > 1:
+                up = np.repeat(_paths(sig, level - 1).view(np.int64), BRANCH[level - 1], 1)
+                below = np.concatenate([np.isin(u, x) for u, x in zip(up, b.column(2).to_pylist())])
+                keys, rep = keys[below], rep[below]
             for i in range(0, len(rep), 50_000):
-                yield pa.RecordBatch.from_arrays([pa.array(x[i : i + 50_000]) for x in (keys.ravel().view(np.int64), up.ravel().view(np.int64), rep)], ["node", "up", "rep"])
+                yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + 50_000]), pa.array(rep[i : i + 50_000])], ["node", "rep"])
 
-    return reps.select("rep", "sig").mapInArrow(expand, "node long, up long, rep long")
+    return reps.mapInArrow(expand, "node long, rep long")
 
 
 def runs_of(batches, width: int):
@@ -131,7 +144,7 @@ def _compare(sized: DataFrame, least: float, similarity: float) -> DataFrame:
         for _, rep, n, sig in runs_of(batches, 4):
             if len(rep) < 2:
                 continue
-            s = np.stack([np.frombuffer(x, np.uint32) for x in sig]).astype(np.uint16)
+            s = np.stack([np.frombuffer(x, np.uint8) for x in sig])
             comp = np.arange(len(rep))
             for i in range(len(rep) - 1):
                 # later rows that are not yet in this one's component
@@ -154,26 +167,24 @@ def _compare(sized: DataFrame, least: float, similarity: float) -> DataFrame:
 def _candidates(reps: DataFrame, similarity: float) -> DataFrame:
     """Edges between classes that may be linked, from all trees and levels."""
     least = similarity - SLACK * (similarity * (1 - similarity) / SLOTS) ** 0.5
-    out, large = [], None
+    out, base = [], reps.select("rep", "sig")
     for level in range(1, len(BRANCH) + 1):
-        last = level == len(BRANCH)
-        base = reps if large is None else reps.join(large.select("rep").distinct(), "rep", "left_semi")
-        nodes = _nodes(base, level)
-        if large is not None:
-            nodes = nodes.join(large.select(F.col("node").alias("up"), "rep"), ["up", "rep"], "left_semi")
-        nodes = written(nodes.select("node", "rep"), "nodes")
+        leaf = LAST_LEAF if level == len(BRANCH) else LEAF
+        nodes = written(_nodes(base, level), "nodes")
         sizes = nodes.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-        nodes_sized = written(nodes.join(sizes, "node"), "sized")
+        sized = written(nodes.join(sizes, "node"), "sized")
         discard(nodes)
-        small = nodes_sized.where(F.col("size") <= (LAST_LEAF if last else LEAF)).join(reps.select("rep", "n", "sig"), "rep").select("node", "rep", "n", "sig")
-        out.append(written(_compare(small, least, similarity).distinct(), "candidates"))
-        large = nodes_sized.where(F.col("size") > (LAST_LEAF if last else LEAF)).select("node", "rep")
+        small = sized.where(F.col("size") <= leaf).join(reps.select("rep", "n", "short"), "rep").select("node", "rep", "n", "short")
+        out.append(written(_compare(small, least, similarity), "candidates"))
+        large = sized.where(F.col("size") > leaf).select("node", "rep")
         if not large.limit(1).count():
             break
+        # a class is at TREES * branches nodes of a level at most
+        base = reps.select("rep", "sig").join(large.groupBy("rep").agg(F.collect_list("node").alias("up")), "rep")
     else:
         # what still shares a node of the last level in such numbers is joined as one group; full sets decide within it
         star = large.groupBy("node").agg(F.min("rep").alias("u"))
-        out.append(written(large.join(star, "node").where("rep != u").select("u", F.col("rep").alias("v")).distinct(), "candidates"))
+        out.append(written(large.join(star, "node").where("rep != u").select("u", F.col("rep").alias("v")), "candidates"))
     edges = out[0]
     for e in out[1:]:
         edges = edges.union(e)
@@ -193,32 +204,30 @@ def _linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
 
 
 def _small_groups(sets: DataFrame, percent: int) -> DataFrame:
-    """(u, v): links that connect each true component of the groups, each group within one task."""
+    """(rep, comp): true components of the groups, each group within one task."""
 
     def resolve(batches):
         for _, rep, _, blob in runs_of(batches, 4):
             rep, first = np.unique(rep, return_index=True)
             own = [np.frombuffer(x, np.uint64) for x in blob[first]]
-            forest, u, v = Forest(len(rep)), [], []
+            forest = Forest(len(rep))
             for i in range(1, len(rep)):
                 for j in range(i):
                     if forest.root(i) != forest.root(j) and _linked(own[i], own[j], percent):
                         forest.join(i, j)
-                        u.append(rep[i])
-                        v.append(rep[j])
-            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+            yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(rep[[forest.root(i) for i in range(len(rep))]])], ["rep", "comp"])
 
-    return sets.repartition("grp").sortWithinPartitions("grp").select("grp", "rep", "n", "set").mapInArrow(resolve, "u long, v long")
+    return sets.repartition("grp").sortWithinPartitions("grp").select("grp", "rep", "n", "set").mapInArrow(resolve, "rep long, comp long")
 
 
-def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000) -> DataFrame | None:
-    """Links that connect each true component of groups too large for a task, by rounds of pivots.
+def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000) -> DataFrame:
+    """(rep, comp): true components of groups too large for a task, by rounds of pivots.
 
     A pivot is compared with all members of its group not yet in its component. A group is done when every member
     outside its largest component has been a pivot. Pivots of a round are bounded in number and bytes; groups that do
     not fit wait for a later round.
     """
-    spark, edges, done, each = sets.sparkSession, None, None, 8
+    spark, edges, done, each = sets.sparkSession, None, None, 16
     comps = sets.select("grp", "rep", F.col("rep").alias("comp"))
     while True:
         sizes = comps.groupBy("grp", "comp").agg(F.count(F.lit(1)).alias("size"))
@@ -237,7 +246,7 @@ def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000
             total += row.n
         if not taken:
             discard(chosen)
-            return edges
+            return comps.select("rep", "comp")
         picked = spark.createDataFrame([(r,) for r in taken], "rep long")
         table: dict[int, list] = {}
         for row in sets.join(F.broadcast(picked), "rep", "left_semi").toLocalIterator():  # at most pivot_shingles
@@ -246,14 +255,17 @@ def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000
 
         def compare(batches):
             own = {g: [(r, np.frombuffer(x, np.uint64)) for r, x in dict(p).items()] for g, p in sent.value.items()}
+            told = set()  # pairs of pivots that a member has connected: said once per task
             for b in batches:
                 u, v = [], []
                 for g, rep, blob in zip(*(b.column(i).to_pylist() for i in range(3))):
                     s = np.frombuffer(blob, np.uint64)
-                    for p, q in own.get(g, ()):
-                        if p != rep and _linked(s, q, percent):
-                            u.append(rep)
-                            v.append(p)
+                    near = [p for p, q in own.get(g, ()) if p == rep or _linked(s, q, percent)]
+                    for p, q in [(rep, p) for p in near[:1]] + [(near[0], p) for p in near[1:] if (near[0], p) not in told]:
+                        if p != q:
+                            u.append(p)
+                            v.append(q)
+                            told.add((p, q)) if p != rep else None
                 yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
         new = written(sets.select("grp", "rep", "set").mapInArrow(compare, "u long, v long"), "links")
@@ -278,7 +290,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     features = written(_features(docs, k), "shingles")
     usable = features.where("n > 0 AND doc_id IS NOT NULL")
     # a class is named by half of its set's digest
-    reps = written(usable.groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n"), F.first("sig").alias("sig")).withColumn("rep", F.col("d1")), "classes")
+    reps = written(usable.groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n"), F.first("sig").alias("sig"), F.first("short").alias("short")).withColumn("rep", F.col("d1")), "classes")
     groups = components(_candidates(reps, similarity)).select(F.col("node").alias("rep"), F.col("comp").alias("grp"))
     members = written(reps.select("rep", "doc_id", "d2").join(groups, "rep"), "members")
     again = docs.join(small_side(members, members.count(), BROADCAST_ROWS // 4), "doc_id")
@@ -296,12 +308,10 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     sets = written(again.select("text", "grp", "rep", "d2").mapInArrow(full, "grp long, rep long, n long, set binary"), "sets")
     sizes = sets.groupBy("grp").agg(F.count(F.lit(1)).alias("docs"), F.sum("n").alias("total"))
     sizes = written(sizes.select("grp", ((F.col("docs") > GROUP_DOCS) | (F.col("total") > GROUP_SHINGLES)).alias("large")), "group-sizes")
-    links = written(_small_groups(sets.join(sizes.where("NOT large"), "grp"), percent), "links")
+    found = _small_groups(sets.join(sizes.where("NOT large"), "grp"), percent)
     if sizes.where("large").limit(1).count():
         big = written(sets.join(sizes.where("large"), "grp").select("grp", "rep", "n", "set").dropDuplicates(["grp", "rep"]), "large-groups")
-        more = _large_groups(big, percent)
-        links = links if more is None else links.union(more)
-    found = components(links).withColumnRenamed("node", "rep")
+        found = found.union(_large_groups(big, percent))
     found = written(found.join(reps.select("rep", "doc_id"), "rep"), "linked")
     least = found.groupBy("comp").agg(F.min("doc_id").alias("least"))
     found = found.join(least, "comp").select("rep", "least")
