@@ -17,9 +17,14 @@ from .components import components
 def shingle_set(text: Column, k: int = 5) -> Column:
     """Distinct hashes of a text's k-word shingles; a text of fewer words is one shingle, one without words none."""
     words = F.filter(F.split(text, "[ \\t\\n\\x0B\\f\\r]+"), lambda w: w != "")
-    n = F.size(words)
-    many = F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), lambda i: F.xxhash64(F.concat_ws(" ", F.slice(words, i, k)))))
-    return F.when(n >= k, many).when(n > 0, F.array(F.xxhash64(F.concat_ws(" ", words)))).otherwise(F.array().cast("array<bigint>"))
+
+    def of(words: Column) -> Column:
+        n = F.size(words)
+        many = F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), lambda i: F.xxhash64(F.concat_ws(" ", F.slice(words, i, k)))))
+        return F.when(n >= k, many).when(n > 0, F.array(F.xxhash64(F.concat_ws(" ", words)))).otherwise(F.array().cast("array<bigint>"))
+
+    # the words are bound to a lambda's variable, so they are split once and not for every shingle
+    return F.element_at(F.transform(F.array(words), of), 1)
 
 
 def jaccard(a: Column, b: Column) -> Column:
