@@ -86,9 +86,9 @@ def exp3(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def exp4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Failures: (percent, released, recoverable, concurrent_dedup_ms, concurrent_training_ms, serial_ms)."""
+    """Failures, with duplicates spread over all pairs of clients: (percent, released, recoverable, concurrent_dedup_ms, concurrent_training_ms, serial_ms)."""
     records, n = base_size(spark, sf_dir)
-    edges = written(workload.pairwise(records, 10, n, 0.3), "edges")
+    edges = written(workload.pairwise(records, 10, n, 0.3, pairing="round_robin"), "edges")
     clients = edges.select("sid").distinct()
     state = written(claims.claim(append_state(None, edges), claims.requests_of(edges)), "state")
     out = None

@@ -35,12 +35,17 @@ ranked AS (SELECT tag, row_number() OVER (ORDER BY tag) - 1 AS place FROM lines)
 sz AS (SELECT CASE WHEN count(*) >= 10240 THEN 1024 WHEN count(*) >= 2560 THEN 256 ELSE 64 END AS n FROM lines)"""
 
 
-def grid(points: str) -> str:
-    """Matched workloads of points (grid, c, n, d), their winners and clients."""
+SPREAD = """prs AS (SELECT a, b, row_number() OVER (ORDER BY a, b) - 1 AS i FROM (SELECT unnest(range(0, 10)) AS a), (SELECT unnest(range(0, 10)) AS b) WHERE a < b),
+twice AS (SELECT grid, unnest([a, b]) AS sid, k AS place FROM (SELECT grid, unnest(range(0, shared)) AS k FROM shares) JOIN prs ON k % 45 = i)"""
+
+
+def grid(points: str, spread: bool = False) -> str:
+    """Workloads of points (grid, c, n, d), matched or spread over all pairs of ten clients, and their winners."""
+    matched = "twice AS (SELECT grid, slot % c AS sid, slot // 2 AS place FROM (SELECT grid, c, unnest(range(0, 2 * shared)) AS slot FROM shares))"
     return f"""{POOL},
 points AS ({points}),
 shares AS (SELECT grid, c, n, d, c * CAST(round(n * d) AS BIGINT) // 2 AS shared FROM points),
-twice AS (SELECT grid, slot % c AS sid, slot // 2 AS place FROM (SELECT grid, c, unnest(range(0, 2 * shared)) AS slot FROM shares)),
+{SPREAD if spread else matched},
 members AS (SELECT grid, n, shared, unnest(range(0, c)) AS sid FROM shares),
 needs AS (SELECT m.grid, m.sid, m.shared, m.n - count(t.place) AS need FROM members m LEFT JOIN twice t ON t.grid = m.grid AND t.sid = m.sid GROUP BY m.grid, m.sid, m.shared, m.n),
 starts AS (SELECT grid, sid, need, shared + coalesce(sum(need) OVER (PARTITION BY grid ORDER BY sid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM needs),
@@ -149,7 +154,7 @@ SQL: dict[str, str] = {
     "q37_exp1": end_to_end(BY_CLIENTS),
     "q38_exp2": end_to_end(BY_RATIO),
     "q39_exp3": end_to_end(BY_SCALE),
-    "q40_exp4": f"""WITH {grid(TEN)}, rates AS (SELECT unnest([{RATES}]) AS percent), fails AS (SELECT sid, row_number() OVER (ORDER BY sha256('fail:' || sid)) AS r FROM (SELECT DISTINCT sid FROM gedges)),
+    "q40_exp4": f"""WITH {grid(TEN, True)}, rates AS (SELECT unnest([{RATES}]) AS percent), fails AS (SELECT sid, row_number() OVER (ORDER BY sha256('fail:' || sid)) AS r FROM (SELECT DISTINCT sid FROM gedges)),
 lost AS (SELECT percent, sid FROM rates, fails WHERE r * 10 <= percent), rel AS (SELECT percent, tag, sid AS from_sid FROM gfirst JOIN lost USING (sid)),
 offers AS (SELECT r.percent, r.tag, 1 + (e.sid * 137 + 11) % 1000 AS "at" FROM rel r JOIN gedges e USING (tag) LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
 took AS (SELECT percent, tag, min("at") AS "at" FROM offers GROUP BY 1, 2), rec AS (SELECT percent, count(*) AS n, max("at") AS last FROM took GROUP BY 1),
