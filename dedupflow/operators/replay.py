@@ -66,7 +66,7 @@ class Entry:
 def fold(events: DataFrame) -> DataFrame:
     """(tag, state, holder, last_holder, epoch) after all events of every tag."""
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.assign(o=pdf["kind"].map(ORDER)).sort_values(["ts", "o", "seq", "sid"], na_position="first")
         e = Entry()
         for kind, sid, epoch in zip(pdf["kind"], pdf["sid"], pdf["epoch"]):

@@ -48,7 +48,7 @@ def softmax_regression(items: DataFrame, classes: int, dim: int, epochs: int = 2
     A client's rows are what one real device holds; here they are one group, as the device's own trainer would see them.
     """
 
-    def fit(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def fit(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         x = np.stack(pdf["embedding"].to_numpy()).astype(float)
         y = np.eye(classes)[pdf["label"].to_numpy(int) % classes]
         w = np.zeros((dim, classes)) if start is None else np.array(start).reshape(dim, classes).copy()
