@@ -87,8 +87,8 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     rows = written(_distinct(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast("array<double>").alias("embedding"))), "vectors")
     usable = rows.where(F.col("digest").isNotNull() & F.col("label").isNotNull() & F.col("vec_id").isNotNull())
     reps = written(usable.groupBy("label", "digest").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("times"), F.first("vector").alias("vector")).withColumn("rep", F.xxhash64("label", "digest")), "distinct-vectors")
-    sizes = {(l, d // 8): n for l, d, n in reps.groupBy("label", F.octet_length("vector").alias("d")).count().collect()}  # a row per label and dimension
-    plans = {k: bucket_plan(n, k[1], threshold, direct, miss) for k, n in sizes.items()}
+    reps = reps.withColumn("dim", (F.octet_length("vector") / 8).cast("int"))
+    reps = reps.join(reps.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("peers")), ["label", "dim"])
 
     def codes(v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         unit = v / np.linalg.norm(v, axis=1)[:, None]
@@ -106,22 +106,23 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
 
     def place(batches):
         for b in batches:
-            label, blob = b.column(1).to_numpy(zero_copy_only=False), b.column(3).to_pylist()
-            for key in sorted({(int(l), len(x) // 8) for l, x in zip(label, blob)}):
-                at = [i for i, (l, x) in enumerate(zip(label, blob)) if (int(l), len(x) // 8) == key]
-                _, code, _ = codes(np.frombuffer(b"".join(blob[i] for i in at), np.float64).reshape(len(at), key[1]))
-                own = buckets(code, key[1], plans[key])
+            dims, peers, blob = b.column(4).to_pylist(), b.column(5).to_pylist(), b.column(3).to_pylist()
+            keys = [(d, bucket_plan(n, d, threshold, direct, miss)) for d, n in zip(dims, peers)]
+            for key in sorted(set(keys)):
+                at = [i for i, k in enumerate(keys) if k == key]
+                _, code, _ = codes(np.frombuffer(b"".join(blob[i] for i in at), np.float64).reshape(len(at), key[0]))
+                own, rows = buckets(code, *key), b.take(pa.array(at))
                 for t in range(own.shape[1]):
-                    yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), b.column(2).take(pa.array(at)), pa.array([blob[i] for i in at], pa.binary()), pa.array(own[:, t].view(np.int64)), pa.array([t] * len(at), pa.int32())], ["rep", "label", "times", "vector", "bucket", "tab"])
+                    yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(own[:, t].view(np.int64)), pa.array([t] * len(at), pa.int32())], ["rep", "label", "times", "vector", "dim", "peers", "bucket", "tab"])
 
-    placed = reps.select("rep", "label", "times", "vector").mapInArrow(place, "rep long, label long, times long, vector binary, bucket long, tab int")
-    placed = placed.withColumn("bucket", F.xxhash64("label", "bucket", F.octet_length("vector")))
+    placed = reps.select("rep", "label", "times", "vector", "dim", "peers").mapInArrow(place, "rep long, label long, times long, vector binary, dim int, peers long, bucket long, tab int")
+    placed = placed.withColumn("bucket", F.xxhash64("label", "bucket", "dim"))
     many = written(placed.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "blocks"), "buckets")
     # block i of a bucket meets blocks i, i+1, ...: a row goes to every pair of blocks that its own is part of
     own = F.pmod(F.xxhash64(F.lit(7), "rep"), F.col("blocks")).cast("int")
     split = placed.join(many, "bucket").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    split = split.select("bucket", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), (F.col("own") > F.col("other")).alias("second"), "rep", "label", "times", "vector", "tab")
-    meet = split.groupBy("bucket", "a", "b").applyInArrow(_meet(threshold, confidence, plans, codes, buckets), "u long, v long, n long")
+    split = split.select("bucket", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), (F.col("own") > F.col("other")).alias("second"), "rep", "times", "vector", "peers", "tab")
+    meet = split.groupBy("bucket", "a", "b").applyInArrow(_meet(threshold, confidence, lambda n, dim: bucket_plan(n, dim, threshold, direct, miss), codes, buckets), "u long, v long, n long")
     found = written(meet, "meetings")
     counts = found.where(F.col("v").isNull()).groupBy(F.col("u").alias("rep")).agg(F.sum("n").alias("links"))
     comps = components(found.where(F.col("v").isNotNull()).select("u", "v"))
@@ -134,21 +135,21 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
-def _meet(threshold, confidence, plans, codes, buckets):
+def _meet(threshold, confidence, plan_of, codes, buckets):
     """Per pair of blocks: links counted per row (v null), and links that connect the components (u, v)."""
 
     def meet(table: pa.Table) -> pa.Table:
         rep = table.column("rep").to_numpy()
         times = table.column("times").to_numpy()
         blob = table.column("vector").to_pylist()
-        dim, label, tab = len(blob[0]) // 8, table.column("label")[0].as_py(), table.column("tab")[0].as_py()
+        dim, peers, tab = len(blob[0]) // 8, table.column("peers")[0].as_py(), table.column("tab")[0].as_py()
         v = np.frombuffer(b"".join(blob), np.float64).reshape(len(rep), dim)
         unit, code, factor = codes(v)
         same = table.column("a")[0].as_py() == table.column("b")[0].as_py()
         second = table.column("second").to_numpy(zero_copy_only=False).astype(bool)
         # in a pair of different blocks every row of one meets every row of the other
         left, right = (np.arange(len(rep)),) * 2 if same else (np.flatnonzero(~second), np.flatnonzero(second))
-        earlier = buckets(code, dim, plans[(label, dim)])[:, :tab] if tab else None
+        earlier = buckets(code, dim, plan_of(peers, dim))[:, :tab] if tab else None
         least, rotate = least_estimate(threshold, factor, dim, confidence), rotation(dim)
         count, comp = np.zeros(len(rep), np.int64), np.arange(len(rep))
         u, w = [], []
