@@ -234,12 +234,13 @@ def _by_windows(cuts: DataFrame, width: int) -> DataFrame:
 def repeated(docs: DataFrame, width: int = 20) -> DataFrame:
     """(doc, pos, low, high): anchors all of whose windows are repeated (pos), or runs of repeated window starts (low to high)."""
     anchors = written(_anchors(docs.where(F.col("doc_id").isNotNull()), width), "anchors")
-    twice = anchors.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h")
+    # written, so that the join deals both sides anew and can split an anchor that very many rows share
+    twice = written(anchors.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"), "repeated-anchors")
     shared = written(anchors.join(twice, "h"), "shared-anchors")
     discard(anchors)
     first = written(shared.groupBy("h", "ctx").agg(F.min(F.struct("doc", "pos")).alias("first")), "contexts")
     whole = shared.join(first, ["h", "ctx"]).where(F.struct("doc", "pos") > F.col("first")).select("doc", "pos", F.lit(None).cast("int").alias("low"), F.lit(None).cast("int").alias("high"))
-    several = first.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h", (F.col("n") > SHARD).alias("many"))
+    several = written(first.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h", (F.col("n") > SHARD).alias("many")), "shards")
     firsts = first.join(several, "h").select("h", F.col("first.doc").alias("doc"), F.col("first.pos").alias("pos"), "many")
     cuts = written(_texts_of(docs, firsts, width), "context-words")
     runs = _by_automata(cuts.where("NOT many"), width).unionByName(_by_windows(cuts.where("many"), width))
