@@ -2,56 +2,17 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 import numpy as np
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.storage import discard, scratch, shared_dir, written  # noqa: F401  (for the operators of this subpackage)
+
 #: A side of a join is broadcast explicitly only up to this many rows of a few dozen bytes each.
 BROADCAST_ROWS = 1_000_000
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder all executors share: ``spark.checkpoint.dir``; where that is unset (tests), a temporary one of this process."""
-    where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not where:
-        made = tempfile.mkdtemp(prefix="dedupflow-")
-        atexit.register(shutil.rmtree, made, ignore_errors=True)
-        where = f"file://{made}"
-        spark.conf.set("spark.checkpoint.dir", where)
-    return where.rstrip("/")
-
-
-def scratch(spark: SparkSession, what: str) -> str:
-    """A fresh path in the shared folder, removed when the driver's JVM ends."""
-    path = f"{shared_dir(spark)}/dedupflow-{what}-{uuid.uuid4().hex}"
-    jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
-    fs = jpath.getFileSystem(spark._jsc.hadoopConfiguration())
-    fs.mkdirs(jpath)
-    fs.deleteOnExit(jpath)
-    return path
-
-
-def written(df: DataFrame, what: str) -> DataFrame:
-    """Cuts lineage: the rows as a Parquet table in the shared folder, so a lost executor costs a re-read, not a re-run."""
-    path = scratch(df.sparkSession, what)
-    df.write.mode("overwrite").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
-def discard(df: DataFrame) -> None:
-    """Removes a table made by ``written`` once nothing reads it any more."""
-    spark = df.sparkSession
-    for f in df.inputFiles()[:1]:
-        jpath = spark._jvm.org.apache.hadoop.fs.Path(f).getParent()
-        jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
-
-
 def small_side(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
     """``df`` marked for broadcast if its counted rows are within the limit; else unmarked, and the join shuffles."""
     return F.broadcast(df) if rows <= limit else df

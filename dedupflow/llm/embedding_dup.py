@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import mixed, written
-from .components import components
+from ..operators.components import components
 
 BLOCK = 1024
 

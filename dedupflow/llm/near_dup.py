@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import BROADCAST_ROWS, discard, mixed, small_side, window_hashes, word_hashes, written
-from .components import Forest, components
+from ..operators.components import Forest, components
 
 TREES = 12
 #: Tokens selected per level; level 1 names a tree's first node.

@@ -9,7 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 import dedupflow.llm.queries as queries
-from dedupflow.llm import components, decontaminate, embedding_dup, language_id, license_scan, near_dup, packing, substring_dup, token_counts, toxicity, warc
+from dedupflow.llm import decontaminate, embedding_dup, language_id, license_scan, near_dup, packing, substring_dup, token_counts, toxicity, warc
+from dedupflow.operators import components
 
 DOC = "doc_id long, text string"
 VOCAB, RANKS, PATTERN = queries.tokenizer_path("byte_bpe_50k.json"), queries.tokenizer_path(packing.RANKS), queries.pre_token_pattern()
