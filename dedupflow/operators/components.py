@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions.storage import discard, written
@@ -43,13 +43,12 @@ def components(edges: DataFrame) -> DataFrame:
     while True:
         near = both.join(labels.select(F.col("node").alias("v"), "comp"), "v").groupBy(F.col("u").alias("node")).agg(F.min("comp").alias("m"))
         step = labels.join(near, "node").select("node", F.col("comp").alias("old"), F.least("comp", "m").alias("comp"))
-        step = written(step, "step")
         jump = step.select(F.col("node").alias("comp"), F.col("comp").alias("further"))
-        after = written(step.join(jump, "comp").select("node", "old", F.col("further").alias("comp")), "labels")
-        moved = after.where("comp < old").limit(1).count()
-        discard(step)
+        moved = Observation()
+        after = step.join(jump, "comp").select("node", "old", F.col("further").alias("comp"))
+        after = written(after.observe(moved, F.count(F.when(F.col("comp") < F.col("old"), 1)).alias("n")), "labels")
         discard(labels)
         labels = after.select("node", "comp")
-        if not moved:
+        if not moved.get["n"]:
             discard(both)
             return labels
