@@ -6,19 +6,22 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from functools import lru_cache
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+@lru_cache(maxsize=1)
+def _own_dir() -> str:
+    made = tempfile.mkdtemp(prefix="dedupflow-")
+    atexit.register(shutil.rmtree, made, ignore_errors=True)
+    return f"file://{made}"
+
+
 def shared_dir(spark: SparkSession) -> str:
     """Folder all executors share: ``spark.checkpoint.dir``; where that is unset (tests), a temporary one of this process."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not where:
-        made = tempfile.mkdtemp(prefix="dedupflow-")
-        atexit.register(shutil.rmtree, made, ignore_errors=True)
-        where = f"file://{made}"
-        spark.conf.set("spark.checkpoint.dir", where)
-    return where.rstrip("/")
+    return (where or _own_dir()).rstrip("/")
 
 
 def scratch(spark: SparkSession, what: str) -> str:
