@@ -220,13 +220,15 @@ def _small_groups(sets: DataFrame, percent: int) -> DataFrame:
     return sets.repartition("grp").sortWithinPartitions("grp").select("grp", "rep", "n", "set").mapInArrow(resolve, "rep long, comp long")
 
 
-def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000) -> DataFrame:
+def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 4_000_000) -> DataFrame:
     """(rep, comp): true components of groups too large for a task, by rounds of pivots.
 
     A pivot is compared with all members of its group not yet in its component. A group is done when every member
-    outside its largest component has been a pivot. Pivots of a round are bounded in number and bytes; groups that do
-    not fit wait for a later round.
+    outside its largest component has been a pivot. Signatures rule most pivots out for a member before any set is
+    compared. Pivots of a round are bounded in number and bytes; groups that do not fit wait for a later round.
     """
+    similarity = percent / 100
+    agree = int(np.ceil((similarity - SLACK * (similarity * (1 - similarity) / SLOTS) ** 0.5) * SLOTS))
     spark, edges, done, each = sets.sparkSession, None, None, 16
     comps = sets.select("grp", "rep", F.col("rep").alias("comp"))
     while True:
@@ -250,17 +252,24 @@ def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000
         picked = spark.createDataFrame([(r,) for r in taken], "rep long")
         table: dict[int, list] = {}
         for row in sets.join(F.broadcast(picked), "rep", "left_semi").toLocalIterator():  # at most pivot_shingles
-            table.setdefault(row.grp, []).append((row.rep, bytes(row.set)))
+            table.setdefault(row.grp, []).append((row.rep, bytes(row.short), bytes(row.set)))
         sent = spark.sparkContext.broadcast(table)
 
         def compare(batches):
-            own = {g: [(r, np.frombuffer(x, np.uint64)) for r, x in dict(p).items()] for g, p in sent.value.items()}
+            own = {}
+            for g, p in sent.value.items():
+                kept = {r: (short, x) for r, short, x in p}
+                own[g] = (list(kept), np.stack([np.frombuffer(short, np.uint8) for short, _ in kept.values()]), [np.frombuffer(x, np.uint64) for _, x in kept.values()])
             told = set()  # pairs of pivots that a member has connected: said once per task
             for b in batches:
                 u, v = [], []
-                for g, rep, blob in zip(*(b.column(i).to_pylist() for i in range(3))):
+                for g, rep, short, blob in zip(*(b.column(i).to_pylist() for i in range(4))):
+                    if g not in own:
+                        continue
+                    pivots, marks, parts = own[g]
                     s = np.frombuffer(blob, np.uint64)
-                    near = [p for p, q in own.get(g, ()) if p == rep or _linked(s, q, percent)]
+                    close = np.flatnonzero((marks == np.frombuffer(short, np.uint8)).sum(1) >= agree)
+                    near = [pivots[i] for i in close if pivots[i] == rep or _linked(s, parts[i], percent)]
                     for p, q in [(rep, p) for p in near[:1]] + [(near[0], p) for p in near[1:] if (near[0], p) not in told]:
                         if p != q:
                             u.append(p)
@@ -268,13 +277,13 @@ def _large_groups(sets: DataFrame, percent: int, pivot_shingles: int = 2_000_000
                             told.add((p, q)) if p != rep else None
                 yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
-        new = written(sets.select("grp", "rep", "set").mapInArrow(compare, "u long, v long"), "links")
+        new = written(sets.select("grp", "rep", "short", "set").mapInArrow(compare, "u long, v long"), "links")
         edges = new if edges is None else edges.union(new)
         done = picked if done is None else done.union(picked)
         found = components(edges)
         comps = written(sets.select("grp", "rep").join(found.withColumnRenamed("node", "rep"), "rep", "left").select("grp", "rep", F.coalesce("comp", "rep").alias("comp")), "comps")
         discard(chosen)
-        each = min(64, each * 2)
+        each = min(4096, each * 16)
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -292,25 +301,25 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     # a class is named by half of its set's digest
     reps = written(usable.groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n"), F.first("sig").alias("sig"), F.first("short").alias("short")).withColumn("rep", F.col("d1")), "classes")
     groups = components(_candidates(reps, similarity)).select(F.col("node").alias("rep"), F.col("comp").alias("grp"))
-    members = written(reps.select("rep", "doc_id", "d2").join(groups, "rep"), "members")
+    members = written(reps.select("rep", "doc_id", "d2", "short").join(groups, "rep"), "members")
     again = docs.join(small_side(members, members.count(), BROADCAST_ROWS // 4), "doc_id")
 
     def full(batches):
         for b in batches:
             rows = []
-            for text, grp, rep, d2 in zip(*(c.to_pylist() for c in b.columns)):
+            for text, grp, rep, d2, short in zip(*(c.to_pylist() for c in b.columns)):
                 s = shingles(text, k)
                 if xxhash.xxh3_128_intdigest(s.tobytes()) == (rep + (1 << 63)) << 64 | d2 + (1 << 63):
-                    rows.append((grp, rep, len(s), s.tobytes()))
-            cols = list(zip(*rows)) or [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary()))], ["grp", "rep", "n", "set"])
+                    rows.append((grp, rep, len(s), s.tobytes(), short))
+            cols = list(zip(*rows)) or [()] * 5
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()))], ["grp", "rep", "n", "set", "short"])
 
-    sets = written(again.select("text", "grp", "rep", "d2").mapInArrow(full, "grp long, rep long, n long, set binary"), "sets")
+    sets = written(again.select("text", "grp", "rep", "d2", "short").mapInArrow(full, "grp long, rep long, n long, set binary, short binary"), "sets")
     sizes = sets.groupBy("grp").agg(F.count(F.lit(1)).alias("docs"), F.sum("n").alias("total"))
     sizes = written(sizes.select("grp", ((F.col("docs") > GROUP_DOCS) | (F.col("total") > GROUP_SHINGLES)).alias("large")), "group-sizes")
     found = _small_groups(sets.join(sizes.where("NOT large"), "grp"), percent)
     if sizes.where("large").limit(1).count():
-        big = written(sets.join(sizes.where("large"), "grp").select("grp", "rep", "n", "set").dropDuplicates(["grp", "rep"]), "large-groups")
+        big = written(sets.join(sizes.where("large"), "grp").select("grp", "rep", "n", "set", "short").dropDuplicates(["grp", "rep"]), "large-groups")
         found = found.union(_large_groups(big, percent))
     found = written(found.join(reps.select("rep", "doc_id"), "rep"), "linked")
     least = found.groupBy("comp").agg(F.min("doc_id").alias("least"))
