@@ -37,7 +37,11 @@ def components(edges: DataFrame) -> DataFrame:
     before the shuffle, and a node with very many edges is split by the adaptive skew join. Null ends and loops are
     dropped; without edges the result is empty.
     """
-    both = edges.where("u != v").select("u", "v")
+    # many edges name the same small node: each node keeps its smallest neighbour, and the others meet that one
+    down = written(edges.where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+    least = down.groupBy("u").agg(F.min("v").alias("m"))
+    others = down.join(written(least, "least"), "u").where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    both = least.select("u", F.col("m").alias("v")).union(others.distinct())
     both = written(both.union(both.select(F.col("v"), F.col("u"))).distinct(), "edges")
     labels = written(both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("comp")), "labels")
     while True:
