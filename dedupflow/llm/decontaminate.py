@@ -1,15 +1,18 @@
 """Benchmark decontamination by templates: numbers, names and units become typed placeholders, windows are hash-joined.
 
 A word is canonical if lower-cased and stripped of punctuation; a number (also in words), a unit and a capitalised word
-become a placeholder of their kind, so a question asked again with other values has the same template. A document
-matches an item where a window of its template equals one of the item's; along one alignment of the two, every slot
-value of the item must stand for one value in the document and the other way round, else the match is chance.
+become a placeholder of their kind, so a question asked again with other values has the same template. Case decides
+what a name is, so windows are compared in two more forms: with names as casefolded literals, and with all words so
+(copies in capitals or lower case, and verbatim windows of few literals). A document matches an item where a window of
+a form equals one of the item's; along one alignment of the two, every slot value of the item must stand for one value
+in the document and the other way round, else the match is chance.
 """
 
 from __future__ import annotations
 
 import re
 import unicodedata
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -17,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Memo, window_hashes
+from .common import window_hashes
 
 NUMBER, NAME, UNIT = "<number>", "<name>", "<unit>"
 #: Number words and units that become placeholders.
@@ -28,37 +31,70 @@ _NUMBER = re.compile(r"[$€£]?[-+]?\d[\d.,:/]*(?:e[-+]?\d+)?%?(?:st|nd|rd|th)?
 BLOCK_WINDOWS = 2_000_000
 
 
-def canonical(word: str) -> str:
-    """Template form of a white-space-separated word; empty if it is punctuation only."""
-    bare = word.strip("".join(c for c in set(word) if not c.isalnum() and c not in "$€£%"))
-    if not any(c.isalnum() for c in bare):
-        return ""
-    low = unicodedata.normalize("NFKC", bare).casefold()
-    if _NUMBER.fullmatch(low) or low in NUMBER_WORDS:
-        return NUMBER
+def forms(word: str) -> tuple[str, str, str] | None:
+    """Template, template that is blind to case and plain form of a white-space-separated word; None if it is punctuation only."""
+    letters = word.isascii() and word.isalpha()
+    bare = word if letters else word.strip("".join(c for c in set(word) if not c.isalnum() and c not in "$€£%"))
+    if not letters and not any(c.isalnum() for c in bare):
+        return None
+    low = word.lower() if letters else unicodedata.normalize("NFKC", bare).casefold()
+    if low in NUMBER_WORDS or not letters and _NUMBER.fullmatch(low):
+        return NUMBER, NUMBER, low
     if low in UNITS:
-        return UNIT
-    return NAME if bare[0].isupper() else low
-
+        return UNIT, UNIT, low
+    return NAME if bare[0].isupper() else low, low, low
 
-_SLOTS = {np.uint64(xxhash.xxh3_64_intdigest(s)) for s in (NUMBER, NAME, UNIT)}
-_SLOT_HASHES = np.array(sorted(_SLOTS), np.uint64)
 
-
-def template(text: str | None, memo) -> tuple[list[str], np.ndarray]:
-    """The words with a canonical form, and the hashes of those forms."""
+def canonical(word: str) -> str:
+    """Template form of a white-space-separated word; empty if it is punctuation only."""
+    return (forms(word) or ("",))[0]
+
+
+_SLOT_OF = {s: xxhash.xxh3_64_intdigest(s) for s in (NUMBER, NAME, UNIT)}
+_SLOT_HASHES = np.array(sorted(_SLOT_OF.values()), np.uint64)
+
+
+class WordForms(dict):
+    """Bounded memo of words as places in ``hashes`` (three forms each, zeros for punctuation); emptied between texts only."""
+
+    def __init__(self, cap: int = 400_000, chars: int = 16_000_000):
+        super().__init__()
+        self.cap, self.most, self.chars, self.hashes = cap, chars, 0, array("Q")
+
+    def __missing__(self, word: str) -> int:
+        own = forms(word)
+        if own:
+            typed, blind, plain = own
+            z = xxhash.xxh3_64_intdigest(plain)
+            y = z if blind is plain else _SLOT_OF[blind]
+            self.hashes.extend((z if typed is plain else _SLOT_OF[typed], y, z))
+        else:
+            self.hashes.extend((0, 0, 0))
+        self.chars += len(word)
+        self[word] = at = len(self)
+        return at
+
+    def of(self, words: list[str]) -> np.ndarray:
+        """Hashes of the words, a row per form."""
+        if not words:
+            return np.zeros((3, 0), np.uint64)
+        if len(self) > self.cap or self.chars > self.most:
+            self.clear()
+            self.chars, self.hashes = 0, array("Q")
+        at = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+        return np.ascontiguousarray(np.frombuffer(self.hashes, np.uint64).reshape(-1, 3)[at].T)
+
+
+def template(text: str | None, memo: WordForms) -> tuple[list[str], np.ndarray]:
+    """The words that are not punctuation only, and the hashes of their forms."""
     words = (text or "").split()
-    h = np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
-    if (h == 0).any():
-        words = [w for w, x in zip(words, h) if x]
-        h = h[h != 0]
+    h = memo.of(words)
+    if (h[0] == 0).any():
+        words = [w for w, x in zip(words, h[0]) if x]
+        h = h[:, h[0] != 0]
     return words, h
 
 
-def word_memo() -> Memo:
-    return Memo(lambda w: xxhash.xxh3_64_intdigest(c) if (c := canonical(w)) else 0)
-
-
 def _bare(word: str) -> str:
     return re.sub(r"^\W+|\W+$", "", word).casefold()
 
@@ -66,24 +102,36 @@ def _bare(word: str) -> str:
 def item_windows(items: list[tuple[int, str]], width: int, literals: int, shortest: int) -> dict:
     """Sorted window hashes of all items with (item, start); items of fewer than ``width`` words give one window each.
 
-    Windows need ``literals`` words that are not placeholders (in shorter items the same share of them).
+    Each window is there in its three forms where they differ. Template windows need ``literals`` words that are not
+    placeholders (in shorter items the same share of them), plain ones do not. Forms share one table: a hash of one form
+    equals that of another only where the words do.
     """
-    memo, rows, texts = word_memo(), [], {}
+    memo, rows, texts = WordForms(), {}, {}
     for k, (_, text) in enumerate(items):
         words, h = template(text, memo)
-        if len(h) < shortest:
+        if h.shape[1] < shortest:
             continue
-        texts[k] = (words, h)
-        w = min(width, len(h))
-        own = window_hashes(h, w)
-        plain = ~np.isin(h, _SLOT_HASHES)
-        enough = np.convolve(plain, np.ones(w, int), "valid") >= literals * w / width
-        rows += [(w, int(x), k, i) for i, x in enumerate(own) if enough[i]]
-    rows.sort()
+        texts[k] = (words, h[0])
+        w = min(width, h.shape[1])
+        seen = []
+        for f, form in enumerate(h):
+            own = window_hashes(form, w)
+            take = np.convolve(~np.isin(form, _SLOT_HASHES), np.ones(w, int), "valid") >= literals * w / width
+            if f == len(h) - 1:
+                take[:] = True
+            for other, there in seen:
+                take &= ~(there & (own == other))
+            seen.append((own, take))
+            at = np.flatnonzero(take)
+            rows.setdefault(w, []).append((own[at], np.full(len(at), k), at, np.full(len(at), f == 0)))
     lengths = {}
-    for w in sorted({r[0] for r in rows}):
-        part = [r for r in rows if r[0] == w]
-        lengths[w] = (np.array([r[1] for r in part], np.uint64), np.array([r[2] for r in part]), np.array([r[3] for r in part]))
+    for w, parts in sorted(rows.items()):
+        hashes, item, start, typed = (np.concatenate(c) for c in zip(*parts))
+        order = np.lexsort((start, item, hashes))
+        hashes, bits = hashes[order], np.uint64(64 - min(24, max(16, len(order).bit_length() + 3)))
+        filled = np.zeros(1 << (64 - int(bits)), bool)
+        filled[hashes >> bits] = True
+        lengths[w] = (hashes, item[order], start[order], typed[order], filled, bits)
     return {"lengths": lengths, "texts": texts, "ids": [i for i, _ in items]}
 
 
@@ -98,29 +146,45 @@ def consistent(item: list[str], doc: list[str], slots: np.ndarray) -> bool:
     return True
 
 
-def matches(text: str | None, table: dict, memo) -> dict[int, int]:
+def _judged(spots: list[int], w: int, words: list[str], shift: int, item: tuple, typed: dict[int, bool] | None) -> int:
+    """Windows of one alignment in consistent runs; windows that touch each other are judged together.
+
+    Where a run of all forms is not consistent, its template windows are judged on their own.
+    """
+    theirs, theirs_h = item
+    n = 0
+    for run in np.split(np.array(spots), np.flatnonzero(np.diff(spots) > w) + 1):
+        low, high = int(run[0]), int(run[-1]) + w
+        if consistent(theirs[low - shift : high - shift], words[low:high], np.isin(theirs_h[low - shift : high - shift], _SLOT_HASHES)):
+            n += len(run)
+        elif typed and 0 < len(own := [p for p in run.tolist() if typed[p]]) < len(run):
+            n += _judged(own, w, words, shift, item, None)
+    return n
+
+
+def matches(text: str | None, table: dict, memo: WordForms) -> dict[int, int]:
     """Item number -> windows matched, with consistent slots."""
     words, h = template(text, memo)
     found: dict[int, int] = {}
-    for w, (hashes, item, start) in table["lengths"].items():
-        own = window_hashes(h, w)
-        if not len(own) or not len(hashes):
+    for w, (hashes, item, start, typed, filled, bits) in table["lengths"].items():
+        if h.shape[1] < w or not len(hashes):
             continue
-        at = np.minimum(np.searchsorted(hashes, own), len(hashes) - 1)
-        lines: dict[tuple[int, int], list[int]] = {}
-        for p in np.flatnonzero(hashes[at] == own).tolist():
-            i = int(at[p])
-            while i < len(hashes) and hashes[i] == own[p]:
-                lines.setdefault((int(item[i]), p - int(start[i])), []).append(p)
-                i += 1
-        for (k, shift), spots in lines.items():
-            theirs, theirs_h = table["texts"][k]
-            # windows of one alignment that touch each other are judged together
-            runs = np.split(np.array(spots), np.flatnonzero(np.diff(spots) > w) + 1)
-            for run in runs:
-                low, high = int(run[0]), int(run[-1]) + w
-                if consistent(theirs[low - shift : high - shift], words[low:high], np.isin(theirs_h[low - shift : high - shift], _SLOT_HASHES)):
-                    found[k] = found.get(k, 0) + len(run)
+        lines: dict[tuple[int, int], dict[int, bool]] = {}
+        for f, form in enumerate(h):
+            own = window_hashes(form, w)
+            spots = np.flatnonzero(filled[own >> bits])
+            own = own[spots]
+            at = np.minimum(np.searchsorted(hashes, own), len(hashes) - 1)
+            for j in np.flatnonzero(hashes[at] == own).tolist():
+                i, p = int(at[j]), int(spots[j])
+                while i < len(hashes) and hashes[i] == own[j]:
+                    hit = lines.setdefault((int(item[i]), p - int(start[i])), {})
+                    hit[p] = hit.get(p, False) or bool(f == 0 and typed[i])
+                    i += 1
+        for (k, shift), hit in lines.items():
+            n = _judged(sorted(hit), w, words, shift, table["texts"][k], hit)
+            if n:
+                found[k] = found.get(k, 0) + n
     return found
 
 
@@ -150,7 +214,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = 10, literal
         sent = spark.sparkContext.broadcast(table)  # BLOCK_WINDOWS at most
 
         def find(batches, sent=sent):
-            table, memo = sent.value, word_memo()
+            table, memo = sent.value, WordForms()
             for b in batches:
                 rows = [(d, table["ids"][k], n) for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for k, n in matches(t, table, memo).items()]
                 cols = list(zip(*rows)) or [(), (), ()]
@@ -167,7 +231,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, width: int = 10, literals: int
         sent = docs.sparkSession.sparkContext.broadcast(table)  # BLOCK_WINDOWS at most
 
         def keep(batches, sent=sent):
-            table, memo = sent.value, word_memo()
+            table, memo = sent.value, WordForms()
             for b in batches:
                 yield b.filter(pa.array([not matches(t, table, memo) for t in b.column("text").to_pylist()], pa.bool_()))
 

@@ -440,6 +440,29 @@ def test_decontamination_equals_brute_force(spark, sf):
         assert {tuple(a[i : i + 10]) for i in range(len(a) - 9)} & {tuple(b[i : i + 10]) for i in range(len(b) - 9)}
 
 
+def test_copies_in_other_case_equal_brute_force(spark, sf):
+    fold = lambda t: [x for w in t.casefold().split() if (x := w.strip(".,;:!?()\"'")) and any(map(str.isalnum, x))]
+    grams = lambda w: {tuple(w[i : i + 10]) for i in range(len(w) - 9)}
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").select("item_id", "text").limit(40).collect()]
+    docs = []
+    for i, (_, t) in enumerate(items):
+        w = t.split()
+        docs += [(4 * i, f"before {t.upper()} after"), (4 * i + 1, f"before {t.lower()} after"), (4 * i + 2, " ".join(w[:11]).swapcase()), (4 * i + 3, f"before {t.lower()} {' '.join(w[:8])}")]
+    have = {i: grams(fold(t)) for i, t in items}
+    expected = {(d, i) for d, t in docs for i, g in have.items() if g & grams(fold(t))}
+    assert expected >= {(4 * k + j, i) for k, (i, t) in enumerate(items) if len(fold(t)) >= 10 for j in (0, 1, 3)}
+    bench = frame(spark, items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(frame(spark, docs), bench).collect()}
+    assert expected <= got
+    assert not {d for d, _ in expected} & {r.doc_id for r in decontaminate.clean(frame(spark, docs), bench).collect()}
+
+
+def test_lower_case_with_other_values_and_few_literals(spark):
+    bench = frame(spark, [(7, ITEM), (8, "Anna Bell Carl Dora Emil Fred 12 14 15 17 Gus")], "item_id long, text string")
+    docs = [(1, ITEM.lower().replace("12", "40")), (2, ITEM.upper().replace("12", "40")), (3, "anna bell carl dora emil fred 12 14 15 17 gus"), (4, "Ina Bo Cy Di Ed Flo 1 2 3 4 Gil")]
+    assert rows_of(decontaminate.contaminated(frame(spark, docs), bench), "doc_id", "item_id") == [(1, 7), (2, 7), (3, 8)]
+
+
 def test_blocks_of_a_large_benchmark(spark, sf, monkeypatch):
     whole = rows_of(queries.op2_decontamination(spark, sf), "doc_id", "item_id", "n_windows")
     monkeypatch.setattr(decontaminate, "BLOCK_WINDOWS", 300)
