@@ -480,6 +480,35 @@ def test_license_edges(spark):
     assert license_scan.scan(frame(spark, [])).count() == 0
 
 
+def test_licenses_inside_lines_and_whole_texts(spark):
+    full = {name: texts[0] for name, texts in license_scan.FULL_TEXTS.items()}
+    w = full["MIT"].split()
+    header = "\n#\n".join("# " + " ".join(w[i : i + 9]) for i in range(0, len(w), 9))
+    notice = license_scan.TEMPLATES["Apache-2.0"][0].split()
+    docs = [(1, "This text may be reused. Licensed under CC BY 4.0."), (2, full["MIT"]), (3, f"/* x\n *\n{header}\n#\n# code */"), (4, f"of lines {' '.join(notice[:4])}\n{' '.join(notice[4:])} and more words"), (5, "licensed or under no licence by the 4.0 rule of CC, the public may copy")]
+    docs += [(10 + i, f"some words before {t} and some after") for i, t in enumerate(full.values())]
+    got = {}
+    for r in license_scan.scan(frame(spark, docs)).collect():
+        got.setdefault(r.doc_id, {})[r.license] = r.dice
+    assert got[1] == {"CC-BY-4.0": 1.0} and got[2] == got[3] == {"MIT": 1.0} and got[4] == {"Apache-2.0": 1.0} and 5 not in got
+    assert all(got[10 + i][name] == 1.0 for i, name in enumerate(full))
+
+
+def test_license_windows_equal_brute_force():
+    rng = random.Random(4)
+    templates = (("x", "a b c d e"), ("y", "b c d e f g h i"), ("y", "a a b"), ("z", "c d"))
+    for _ in range(200):
+        words = [rng.choice("abcdefghi") if rng.random() < 0.4 else "abcdefghi"[i % 9] for i in range(rng.randint(0, 30))]
+        want = {}
+        for name, t in templates:
+            n, g = len(t.split()), license_scan.bigrams(t)
+            for i in range(max(len(words) - n, 0) + 1):
+                o = license_scan.bigrams(" ".join(words[i : i + n])) if len(words) > 1 else frozenset()
+                if o and 2 * len(o & g) / (len(o) + len(g)) >= 0.8:
+                    want[name] = max(want.get(name, 0), 2 * len(o & g) / (len(o) + len(g)))
+        assert license_scan.window_matches("\n".join(words), templates, 0.8) == want
+
+
 # ---------------------------------------------------------------- queries against SQL, and the pipeline
 
 
