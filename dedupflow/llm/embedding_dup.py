@@ -12,6 +12,7 @@ several tables, as many as the recall asks for. A pair that shares several bucke
 from __future__ import annotations
 
 import math
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +24,8 @@ from .common import mixed, written
 from ..operators.components import components
 
 BLOCK = 1024
+#: Tables of a bucket plan at most.
+MOST_TABLES = 4096
 
 
 def rotation(dim: int, seed: int = 4) -> np.ndarray:
@@ -52,12 +55,31 @@ def least_estimate(threshold: float, factor: np.ndarray, dim: int, confidence: f
 
 
 def bucket_plan(n: int, dim: int, threshold: float, direct: int, miss: float) -> tuple[int, int]:
-    """(bits, tables) for a label of n vectors: buckets of about ``direct`` rows, and tables enough to miss a share of ``miss`` at most."""
+    """(bits, tables) for a label of n vectors: buckets of about ``direct`` rows, and tables enough to miss a share of ``miss`` at most.
+
+    Tables draw their bits from the same code, so the share is taken over the number of bits that a pair at the threshold
+    has in common (as of independent bits), not as of independent tables.
+    """
     if n <= direct:
         return 0, 1
     bits = min(dim, max(1, math.ceil(math.log2(n / direct))))
-    meet = (1 - math.acos(threshold) / math.pi) ** bits
-    return bits, math.ceil(math.log(miss) / math.log(1 - meet))
+    return bits, _tables(bits, dim, threshold, miss)
+
+
+@lru_cache(maxsize=256)
+def _tables(bits: int, dim: int, threshold: float, miss: float) -> int:
+    agree = 1 - math.acos(threshold) / math.pi
+    chance = np.array([math.comb(dim, a) * agree**a * (1 - agree) ** (dim - a) for a in range(dim + 1)])
+    meet = np.array([math.comb(a, bits) / math.comb(dim, bits) for a in range(dim + 1)])
+    # pairs with fewer common bits than a table has meet nowhere, whatever their number
+    low, high = 1, 1
+    target = max(miss, 2 * float(chance[meet == 0].sum()))
+    while float(chance @ (1 - meet) ** high) > target and high < MOST_TABLES:
+        low, high = high, 2 * high
+    while low < high:
+        middle = (low + high) // 2
+        low, high = (low, middle) if float(chance @ (1 - meet) ** middle) <= target else (middle + 1, high)
+    return high
 
 
 def _distinct(vectors: DataFrame) -> DataFrame:

@@ -1,6 +1,7 @@
 """The training-data operators: edge cases, brute force, round trips, held-out accuracy."""
 
 import hashlib
+import math
 import random
 import zlib
 
@@ -289,6 +290,19 @@ def test_estimates_are_unbiased_and_bounded():
     assert near.any() and (guess[near] >= embedding_dup.least_estimate(0.93, factor[near], 64, 6.0)).all()
 
 
+@pytest.mark.parametrize("n", [10**5, 10**6, 10**7])
+def test_bucket_plan_misses_few_pairs(n):
+    rng, rotate = np.random.default_rng(2), embedding_dup.rotation(64)
+    a, b = rng.standard_normal((2, 60_000, 64))
+    a /= np.linalg.norm(a, axis=1)[:, None]
+    b -= (a * b).sum(1)[:, None] * a
+    b = 0.93 * a + np.sqrt(1 - 0.93**2) * b / np.linalg.norm(b, axis=1)[:, None]
+    common = ((a @ rotate.T >= 0) == (b @ rotate.T >= 0)).sum(1)
+    bits, tables = embedding_dup.bucket_plan(n, 64, 0.93, 32_768, 1e-7)
+    meet = np.array([math.comb(int(c), bits) / math.comb(64, bits) for c in range(65)])
+    assert ((1 - meet[common]) ** tables).mean() <= 2e-7
+
+
 # ---------------------------------------------------------------- 5
 
 
