@@ -59,10 +59,7 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     held = F.coalesce(bucket_of("doc_id", 4) == 2, F.lit(False))
-    marks = table(spark, sf_dir, "labels").select("doc_id", "toxic").where(~held)
-    n = marks.count()
-    marks = F.broadcast(marks) if n <= 1_000_000 else marks
-    model = toxicity.train(docs.join(marks, "doc_id").select("doc_id", "text", "toxic"))
+    model = toxicity.train(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic").where(~held))
     return toxicity.score(docs, model, 0.3).withColumn("held_out", held).select("doc_id", "held_out", "score", "predicted")
 
 

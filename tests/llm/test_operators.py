@@ -374,6 +374,62 @@ def test_language_held_out(spark, sf):
     assert queries.op6_language_id(spark, sf).count() == docs.count()
 
 
+def test_language_equals_plain_dictionaries(spark, sf):
+    """The whole query against counts, posteriors and backoff in plain dictionaries (all labelled rows are in the sample)."""
+    import re
+    from collections import Counter
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang").collect()
+    held = lambda d: zlib.crc32(str(d).encode()) % 5 == 0
+    find = re.compile(r"[^\W\d_]+").findall
+    counts = {}
+    for r in docs:
+        if not held(r.doc_id) and r.text is not None and r.lang is not None:
+            for w in find(r.text.lower()):
+                marked = f"^{w}$"
+                grams = [marked[i : i + n] for n in range(1, 6) for i in range(len(marked) - n + 1)]
+                for kind, key in [(0, w), *((1, g) for g in grams)]:
+                    counts.setdefault((kind, key), Counter())[r.lang] += 1
+    langs = sorted({r.lang for r in docs if r.lang is not None and r.text is not None and not held(r.doc_id)})
+    known = {k: c for k, c in counts.items() if sum(c.values()) >= (4, 3)[k[0]]}
+    totals = [{l: sum(c[l] for k, c in known.items() if k[0] == kind) + 0.5 * sum(k[0] == kind for k in known) for l in langs} for kind in (0, 1)]
+
+    def logs(kind, key):
+        x = [math.log((known[kind, key][l] + 0.5) / totals[kind][l]) for l in langs]
+        norm = math.log(sum(map(math.exp, x)))
+        return [max(-6.0, v - norm) for v in x]
+
+    def word(w):
+        if (0, w) in known:
+            return logs(0, w)
+        marked = f"^{w}$"
+        for n in (5, 4, 3, 2, 1):
+            hits = [logs(1, g) for i in range(len(marked) - n + 1) if (1, g := marked[i : i + n]) in known]
+            if hits:
+                return [sum(x) / len(hits) for x in zip(*hits)]
+        return [0.0] * len(langs)
+
+    got = {r.doc_id: r for r in queries.op6_language_id(spark, sf).collect()}
+    assert len(got) == len(docs)
+    for r in docs:
+        words = [w for t in (r.text or "").split() for w in find(t.lower())]
+        own = got[r.doc_id]
+        assert own.held_out == held(r.doc_id)
+        if not words:
+            assert (own.lang_pred, own.score) == ("und", 0.0)
+            continue
+        mean = [sum(x) / len(words) * min(len(words), 20) for x in zip(*map(word, words))]
+        p = [math.exp(m - max(mean)) for m in mean]
+        assert own.lang_pred == langs[p.index(max(p))] and abs(own.score - max(p) / sum(p)) < 1e-4
+
+
+def test_language_learns_long_words(spark):
+    long = {"a": "kala" * 40, "b": "mori" * 40}
+    model = language_id.train(frame(spark, [(i, long["ab"[i % 2]], "ab"[i % 2]) for i in range(20)], "doc_id long, text string, lang string"))
+    got = language_id.predict(frame(spark, [(1, "x" * 60 + "mori" * 9), (2, long["a"])]), model).collect()
+    assert {r.doc_id: r.lang_pred for r in got} == {1: "b", 2: "a"}
+
+
 def test_language_edges(spark):
     train = [(i, "the cat and the dog" if i % 2 else "der hund und die katze", "en" if i % 2 else "de") for i in range(40)] + [(50, None, "en"), (51, "x", None)]
     model = language_id.train(frame(spark, train, "doc_id long, text string, lang string"))
@@ -390,18 +446,79 @@ def test_toxicity_held_out(spark):
     d = "/root/testdata/sf0.1"  # the smaller tables hold fewer than 15 toxic documents to judge by
     got = queries.op7_toxicity(spark, d).join(spark.read.parquet(f"{d}/labels.parquet").select("doc_id", "toxic"), "doc_id").where("held_out").select("score", "toxic").collect()
     pairs = [(a.score > b.score) + 0.5 * (a.score == b.score) for a in got if a.toxic == 1 for b in got if b.toxic == 0]
-    assert sum(pairs) / len(pairs) > 0.85
+    assert sum(pairs) / len(pairs) > 0.94
+
+
+TOXIC = [(i, "you idiot and clown so rare" if i % 3 == 0 else "a nice day, and you -- too", int(i % 3 == 0)) for i in range(90)] + [(200, None, 1), (201, "x", None)]
+
+
+def _toxic_frames(spark, rows, more=()):
+    return frame(spark, [r[:2] for r in rows] + list(more)), frame(spark, [(r[0], r[2]) for r in rows], "doc_id long, toxic int")
 
 
 def test_toxicity_edges(spark):
-    rows = [(i, "you idiot and clown" if i % 3 == 0 else "a nice day and you", int(i % 3 == 0)) for i in range(90)] + [(200, None, 1), (201, "x", None)]
-    model = toxicity.train(frame(spark, rows, "doc_id long, text string, toxic int"))
-    got = {r.doc_id: r for r in toxicity.score(clash(frame(spark, EDGES + [(20, "such an idiot clown"), (21, "a nice day")])), model).collect()}
+    docs, labels = _toxic_frames(spark, TOXIC)
+    model = toxicity.train(clash(docs), clash(labels))
+    got = {r.doc_id: r for r in toxicity.score(clash(frame(spark, EDGES + [(20, "such an idiot clown"), (21, "a nice day"), (22, "... !!")])), model).collect()}
     assert got[20].score > got[21].score and got[20].predicted == 1 and got[21].predicted == 0
-    assert all(0 <= r.score <= 1 for r in got.values()) and got[1].score == got[2].score
-    one = toxicity.train(frame(spark, rows[1:3], "doc_id long, text string, toxic int"))
-    assert toxicity.score(frame(spark, [(1, "x")]), one).first().predicted == 0
-    assert toxicity.score(frame(spark, []), toxicity.train(frame(spark, [], "doc_id long, text string, toxic int"))).count() == 0
+    assert all(0 <= r.score <= 1 for r in got.values()) and got[1].score == got[2].score == got[22].score
+    assert toxicity.score(frame(spark, EDGES), model).count() == len(EDGES)
+    for part, predicted in ((TOXIC[1:3], 0), (TOXIC[:1], 1)):
+        one = toxicity.train(*_toxic_frames(spark, part))
+        assert toxicity.score(frame(spark, [(1, "x")]), one).first().predicted == predicted
+    none = toxicity.train(frame(spark, []), frame(spark, [], "doc_id long, toxic int"))
+    assert toxicity.score(frame(spark, []), none).count() == 0
+
+
+def test_toxicity_models_are_probabilities_and_equal_plain_dictionaries(spark):
+    """Counts, discounts and backoff again in dictionaries; every context's distribution sums to one."""
+    from collections import Counter, defaultdict
+
+    more = [(300, "an unlabelled idiot walks so rare a nice clown"), (301, None), (302, "and and and")]
+    docs, labels = _toxic_frames(spark, TOXIC, more)
+    model = toxicity.train(docs, labels)
+    curve = {r.doc_id for r in docs.where(F.pmod(F.xxhash64(F.lit("curve"), "doc_id"), F.lit(4)) == 0).collect()}
+    words_of = lambda t: [w for x in t.split() if (w := toxicity._word(x))]
+    uni, bi, before = (Counter(), Counter()), (Counter(), Counter()), defaultdict(set)
+    for _, text, *_ in [*TOXIC, *more]:
+        for a, b in zip(words_of(text or ""), words_of(text or "")[1:]):
+            before[b].add(a)
+    for i, text, y in TOXIC:
+        if text is not None and y is not None and i not in curve:
+            uni[y].update(words_of(text))
+            bi[y].update(zip(words_of(text), words_of(text)[1:]))
+    known = sorted({*uni[0], *uni[1]})
+    bit = lambda w: int(toxicity.left_bit(np.array([toxicity._hashed(w)], np.uint64))[0])
+    follows = {w: float(toxicity.contexts_from(np.array([len({bit(v) for v in before[w]})]))[0]) for w in known}
+    assert all(abs(n - len({bit(v) for v in before[w]})) < 0.1 for w, n in follows.items())
+    unknown = sum(w not in known for _, text, *_ in [*TOXIC, *more] for w in words_of(text or "")[1:])
+    every = sum(follows.values()) + unknown + 0.5 * (len(known) + 1)
+    shared = lambda w: (follows.get(w, 0) + 0.5) / every
+    outside = unknown / every
+
+    def alone(y, w):
+        t = sum(uni[y].values())
+        return max(uni[y][w] - 0.75, 0) / t + 0.75 * len(uni[y]) / t * shared(w)
+
+    def given(y, v, w):
+        n = sum(c for (a, _), c in bi[y].items() if a == v)
+        if not n:
+            return alone(y, w)
+        return max(bi[y][v, w] - 0.75, 0) / n + 0.75 * sum(a == v for a, _ in bi[y]) / n * alone(y, w)
+
+    for y in (0, 1):
+        rest = 0.75 * len(uni[y]) / sum(uni[y].values()) * outside  # unknown words beyond the class of their own
+        assert abs(sum(alone(y, w) for w in [*known, "?"]) + rest - 1) < 1e-9
+        for v in known:
+            n = sum(c for (a, _), c in bi[y].items() if a == v)
+            own = rest * (0.75 * sum(a == v for a, _ in bi[y]) / n if n else 1)
+            assert abs(sum(given(y, v, w) for w in [*known, "?"]) + own - 1) < 1e-9
+    text = "so rare an idiot, and a nice clown you see -- and you too"
+    numbers = np.array([x for x in map(model.number, text.split()) if x >= 0])
+    a, g = model.differences(numbers)
+    words = words_of(text)
+    assert np.allclose(a, [math.log(alone(1, w) / alone(0, w)) for w in words], atol=1e-5)
+    assert np.allclose(g[1:], [math.log(given(1, v, w) / given(0, v, w)) for v, w in zip(words, words[1:])], atol=1e-5)
 
 
 # ---------------------------------------------------------------- 8
