@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -23,6 +26,30 @@ def bucket_of(col: str, n: int):
     return F.pmod(F.crc32(F.col(col).cast("string").cast("binary")), F.lit(n))
 
 
+def _give_back() -> None:
+    """Returns memory that earlier batches and tasks of this worker have freed to the system, which the allocators would keep."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def text_batches(spark, rows: int = 1000) -> None:
+    """Arrow batches of ``rows`` at most from here on in the session (10,000 by default), as every row may be a long text."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, rows)
+
+
+def sliced(batches, rows: int = 256):
+    """The Arrow batches in slices of few rows, so that a task holds few texts as Python strings at a time."""
+    _give_back()
+    for b in batches:
+        for i in range(0, b.num_rows, rows):
+            yield b.slice(i, rows)
+    _give_back()
+
+
 class Memo(dict):
     """Bounded memo of ``compute``: two generations, so what is used often stays when the older half goes."""
 

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import window_hashes
+from .common import sliced, window_hashes
 
 NUMBER, NAME, UNIT = "<number>", "<name>", "<unit>"
 #: Number words and units that become placeholders.
@@ -215,7 +215,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = 10, literal
 
         def find(batches, sent=sent):
             table, memo = sent.value, WordForms()
-            for b in batches:
+            for b in sliced(batches):
                 rows = [(d, table["ids"][k], n) for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for k, n in matches(t, table, memo).items()]
                 cols = list(zip(*rows)) or [(), (), ()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["doc_id", "item_id", "n_windows"])
@@ -232,7 +232,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, width: int = 10, literals: int
 
         def keep(batches, sent=sent):
             table, memo = sent.value, WordForms()
-            for b in batches:
+            for b in sliced(batches):
                 yield b.filter(pa.array([not matches(t, table, memo) for t in b.column("text").to_pylist()], pa.bool_()))
 
         docs = docs.mapInArrow(keep, docs.schema)

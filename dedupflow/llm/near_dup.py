@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, discard, mixed, small_side, window_hashes, word_hashes, written
+from .common import BROADCAST_ROWS, discard, mixed, sliced, small_side, window_hashes, word_hashes, written
 from ..operators.components import Forest, components
 
 TREES = 12
@@ -62,7 +62,7 @@ def _features(docs: DataFrame, k: int) -> DataFrame:
     """(doc_id, n, d1, d2, sig, short): set size, digest, tokens for paths, and a byte of every minwise token for comparisons."""
 
     def make(batches):
-        for b in batches:
+        for b in sliced(batches):
             n, d1, d2, sig, short = [], [], [], [], []
             for text in b.column(1).to_pylist():
                 s = shingles(text, k)
@@ -305,7 +305,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     again = docs.join(small_side(members, members.count(), BROADCAST_ROWS // 4), "doc_id")
 
     def full(batches):
-        for b in batches:
+        for b in sliced(batches):
             rows = []
             for text, grp, rep, d2, short in zip(*(c.to_pylist() for c in b.columns)):
                 s = shingles(text, k)

@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Memo, written
+from .common import Memo, sliced, written
 
 #: The file of ranks that holds the same vocabulary as the tokenizers file; words are encoded with it, several times faster.
 RANKS = "byte_bpe_50k.tiktoken"
@@ -226,7 +226,7 @@ def pieces(docs: DataFrame, vocabulary: str, ranks: str, pattern: str, size: int
 
     def cut(batches):
         own, task, seen = encoder(vocabulary, ranks, pattern), TaskContext.get().partitionId(), [0] * (size + 1)
-        for b in batches:
+        for b in sliced(batches):
             cols = ([], [], [], [], [], [])
             for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 ids = own.encode(text or "") + b"\0\0\0\0"

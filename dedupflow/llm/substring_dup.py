@@ -16,14 +16,17 @@ import re
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import discard, mixed, window_hashes, word_hashes, written
+from .common import discard, mixed, sliced, small_side, window_hashes, word_hashes, written
 
 GRAM = 8
 #: Contexts of one anchor that one automaton takes.
 SHARD = 4096
+#: Places are packed: the number of the text among those of its id above PLACE bits, the word's place below.
+PLACE = 36
+_PLACE = (1 << PLACE) - 1
 
 
 class SuffixAutomaton:
@@ -129,16 +132,38 @@ def contexts(words: list[bytes], width: int):
     return at, low, high, grams[at], mixed(span_hashes(h, low, high + width) + (at - low).astype(np.uint64)) if len(at) else grams[:0], h
 
 
+def _free_prefix(taken) -> str:
+    """A prefix that no column has."""
+    prefix = "own"
+    while any(t.lower().startswith(prefix) for t in taken):
+        prefix = "_" + prefix
+    return prefix
+
+
+def _numbered(docs: DataFrame, sub: str = "sub") -> DataFrame:
+    """``docs`` with ``sub``: 0, or the number of the text among the different texts that rows of its id have, in order of their digests."""
+    rows = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", F.md5("text").alias("digest"))
+    several = written(rows.groupBy("doc_id").agg(F.min("digest").alias("a"), F.max("digest").alias("b")).where("a <> b").select("doc_id"), "several-texts")
+    n = several.count()
+    if not n:
+        return docs.withColumn(sub, F.lit(0).cast("long"))
+    texts = rows.join(small_side(several, n), "doc_id", "left_semi").distinct()
+    order, p = Window.partitionBy("doc_id").orderBy("digest"), _free_prefix(docs.columns)
+    numbers = written(texts.select(F.col("doc_id").alias(f"{p}_id"), F.col("digest").alias(f"{p}_digest"), (F.row_number().over(order) - 1).cast("long").alias(f"{p}_number")), "text-numbers")
+    joined = docs.join(numbers, (F.col("doc_id") == F.col(f"{p}_id")) & (F.md5("text") == F.col(f"{p}_digest")), "left")
+    return joined.select(*docs.columns, F.coalesce(f"{p}_number", F.lit(0)).cast("long").alias(sub))
+
+
 def _anchors(docs: DataFrame, width: int) -> DataFrame:
     def emit(batches):
-        for b in batches:
+        for b in sliced(batches):
             parts, size = [], 0
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+            for doc, text, sub in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
                 words = words_of(text)
                 if len(words) < width:
                     continue
                 at, _, _, hashes, ctx, _ = contexts(words, width)
-                parts.append((hashes.view(np.int64), ctx.view(np.int64), np.full(len(at), doc, np.int64), at.astype(np.int32)))
+                parts.append((hashes.view(np.int64), ctx.view(np.int64), np.full(len(at), doc, np.int64), at + (sub << PLACE)))
                 size += len(at)
                 if size > 100_000:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*parts)], ["h", "ctx", "doc", "pos"])
@@ -146,44 +171,49 @@ def _anchors(docs: DataFrame, width: int) -> DataFrame:
             if parts:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*parts)], ["h", "ctx", "doc", "pos"])
 
-    return docs.mapInArrow(emit, "h long, ctx long, doc long, pos int")
+    return docs.select("doc_id", "text", "sub").mapInArrow(emit, "h long, ctx long, doc long, pos long")
 
 
-def _with_positions(docs: DataFrame, positions: DataFrame, how: str) -> DataFrame:
-    """Documents with their ``spots``. The texts are shuffled by id at every size; a document's spots are bounded by its words."""
-    return docs.join(positions.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list("spot").alias("spots")), "doc_id", how)
+def _with_positions(docs: DataFrame, positions: DataFrame, how: str, sub: str = "sub", spots: str = "spots") -> DataFrame:
+    """Documents with their ``spots``. The texts are shuffled by id and number at every size; a text's spots are bounded by its words."""
+    place = F.coalesce(F.col("spot.pos"), F.col("spot.low")) if "low" in positions.schema["spot"].dataType.names else F.col("spot.pos")
+    p = _free_prefix([*docs.columns, spots])
+    packed = positions.groupBy(F.col("doc").alias(f"{p}_id"), F.shiftright(place, PLACE).alias(f"{p}_number")).agg(F.collect_list("spot").alias(spots))
+    joined = docs.join(packed, (F.col("doc_id") == F.col(f"{p}_id")) & (F.col(sub) == F.col(f"{p}_number")), how)
+    return joined.select(*docs.columns, spots)
 
 
 def _texts_of(docs: DataFrame, firsts: DataFrame, width: int) -> DataFrame:
     """(h, doc, low, words, many) of the contexts (h, doc, pos, many): window starts and word hashes from the texts."""
     spots = firsts.select("doc", F.struct("pos", "many").alias("spot"))
-    joined = _with_positions(docs, spots, "inner").select("doc_id", "text", F.col("spots.pos").alias("pos"), F.col("spots.many").alias("many"))
+    joined = _with_positions(docs, spots, "inner").select("doc_id", "text", "sub", F.col("spots.pos").alias("pos"), F.col("spots.many").alias("many"))
 
     def cut(batches):
-        for b in batches:
+        for b in sliced(batches):
             rows, size = [], 0
-            for doc, text, pos, many in zip(*(c.to_pylist() for c in b.columns)):
+            for doc, text, sub, pos, many in zip(*(c.to_pylist() for c in b.columns)):
                 words = words_of(text)
                 if len(words) < width:
                     continue
                 at, low, high, hashes, _, h = contexts(words, width)
                 short = (h >> np.uint64(16)).astype(np.uint32)
+                pos = np.array(pos, np.int64) & _PLACE
                 where = np.searchsorted(at, pos)
-                for i, p, m in zip(where.tolist(), pos, many):
+                for i, p, m in zip(where.tolist(), pos.tolist(), many):
                     if i < len(at) and at[i] == p:
                         part = short[low[i] : high[i] + width]
-                        rows.append((int(hashes[i].view(np.int64)), doc, int(low[i]), part.tobytes(), m))
+                        rows.append((int(hashes[i].view(np.int64)), doc, int(low[i]) + (sub << PLACE), part.tobytes(), m))
                 if len(rows) > 20_000:
                     yield _cuts(rows)
                     rows = []
             yield _cuts(rows)
 
-    return joined.mapInArrow(cut, "h long, doc long, low int, words binary, many boolean")
+    return joined.mapInArrow(cut, "h long, doc long, low long, words binary, many boolean")
 
 
 def _cuts(rows: list[tuple]) -> pa.RecordBatch:
     cols = list(zip(*rows)) or [()] * 5
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.bool_()))], ["h", "doc", "low", "words", "many"])
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.bool_()))], ["h", "doc", "low", "words", "many"])
 
 
 def _by_automata(cuts: DataFrame, width: int) -> DataFrame:
@@ -208,11 +238,11 @@ def _by_automata(cuts: DataFrame, width: int) -> DataFrame:
                         start = None
                 automaton.add(own)
             if len(doc_out) > 20_000:
-                yield pa.RecordBatch.from_arrays([pa.array(doc_out, pa.int64()), pa.array(low_out, pa.int32()), pa.array(high_out, pa.int32())], ["doc", "low", "high"])
+                yield pa.RecordBatch.from_arrays([pa.array(doc_out, pa.int64()), pa.array(low_out, pa.int64()), pa.array(high_out, pa.int64())], ["doc", "low", "high"])
                 doc_out, low_out, high_out = [], [], []
-        yield pa.RecordBatch.from_arrays([pa.array(doc_out, pa.int64()), pa.array(low_out, pa.int32()), pa.array(high_out, pa.int32())], ["doc", "low", "high"])
+        yield pa.RecordBatch.from_arrays([pa.array(doc_out, pa.int64()), pa.array(low_out, pa.int64()), pa.array(high_out, pa.int64())], ["doc", "low", "high"])
 
-    return cuts.select("h", "doc", "low", "words").repartition("h").sortWithinPartitions("h", "doc", "low").mapInArrow(stream, "doc long, low int, high int")
+    return cuts.select("h", "doc", "low", "words").repartition("h").sortWithinPartitions("h", "doc", "low").mapInArrow(stream, "doc long, low long, high long")
 
 
 def _by_windows(cuts: DataFrame, width: int) -> DataFrame:
@@ -223,28 +253,28 @@ def _by_windows(cuts: DataFrame, width: int) -> DataFrame:
             for h, doc, low, blob in zip(*(b.column(i).to_pylist() for i in range(4))):
                 own = window_hashes(mixed(np.frombuffer(blob, np.uint32).astype(np.uint64) + np.uint64(1)), width)
                 n = len(own)
-                yield pa.RecordBatch.from_arrays([pa.array([h] * n, pa.int64()), pa.array(own.view(np.int64)), pa.array([doc] * n, pa.int64()), pa.array(np.arange(low, low + n, dtype=np.int32))], ["h", "name", "doc", "low"])
+                yield pa.RecordBatch.from_arrays([pa.array([h] * n, pa.int64()), pa.array(own.view(np.int64)), pa.array([doc] * n, pa.int64()), pa.array(np.arange(low, low + n))], ["h", "name", "doc", "low"])
 
-    windows = written(cuts.select("h", "doc", "low", "words").mapInArrow(explode, "h long, name long, doc long, low int"), "windows")
+    windows = written(cuts.select("h", "doc", "low", "words").mapInArrow(explode, "h long, name long, doc long, low long"), "windows")
     first = windows.groupBy("h", "name").agg(F.min(F.struct("doc", "low")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h", "name", "first")
     again = windows.join(first, ["h", "name"]).where(F.struct("doc", "low") > F.col("first"))
     return again.select("doc", "low", F.col("low").alias("high"))
 
 
 def repeated(docs: DataFrame, width: int = 20) -> DataFrame:
-    """(doc, pos, low, high): anchors all of whose windows are repeated (pos), or runs of repeated window starts (low to high)."""
+    """(doc, pos, low, high) of rows (doc_id, text, sub): anchors all of whose windows are repeated (pos), or runs of repeated window starts (low to high)."""
     anchors = written(_anchors(docs.where(F.col("doc_id").isNotNull()), width), "anchors")
     # written, so that the join deals both sides anew and can split an anchor that very many rows share
     twice = written(anchors.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"), "repeated-anchors")
     shared = written(anchors.join(twice, "h"), "shared-anchors")
     discard(anchors)
     first = written(shared.groupBy("h", "ctx").agg(F.min(F.struct("doc", "pos")).alias("first")), "contexts")
-    whole = shared.join(first, ["h", "ctx"]).where(F.struct("doc", "pos") > F.col("first")).select("doc", "pos", F.lit(None).cast("int").alias("low"), F.lit(None).cast("int").alias("high"))
+    whole = shared.join(first, ["h", "ctx"]).where(F.struct("doc", "pos") > F.col("first")).select("doc", "pos", F.lit(None).cast("long").alias("low"), F.lit(None).cast("long").alias("high"))
     several = written(first.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h", (F.col("n") > SHARD).alias("many")), "shards")
     firsts = first.join(several, "h").select("h", F.col("first.doc").alias("doc"), F.col("first.pos").alias("pos"), "many")
     cuts = written(_texts_of(docs, firsts, width), "context-words")
     runs = _by_automata(cuts.where("NOT many"), width).unionByName(_by_windows(cuts.where("many"), width))
-    return written(whole.unionByName(runs.withColumn("pos", F.lit(None).cast("int"))), "repeated")
+    return written(whole.unionByName(runs.withColumn("pos", F.lit(None).cast("long"))), "repeated")
 
 
 def _coverage(words: list[bytes], spots, width: int) -> np.ndarray:
@@ -252,7 +282,7 @@ def _coverage(words: list[bytes], spots, width: int) -> np.ndarray:
     n = len(words)
     edge = np.zeros(n + 1, np.int32)
     if spots and n >= width:
-        pos = np.array([s["pos"] for s in spots if s["pos"] is not None], np.int64)
+        pos = np.array([s["pos"] for s in spots if s["pos"] is not None], np.int64) & _PLACE
         if len(pos):
             mins = anchors_of(word_hashes(words), width)[1]
             low, high = np.searchsorted(mins, pos, "left"), np.searchsorted(mins, pos, "right")
@@ -260,28 +290,24 @@ def _coverage(words: list[bytes], spots, width: int) -> np.ndarray:
             np.add.at(edge, low[ok], 1)
             np.add.at(edge, high[ok] - 1 + width, -1)
         for s in spots:
-            if s["pos"] is None and s["high"] + width <= n:
-                edge[s["low"]] += 1
-                edge[s["high"] + width] -= 1
+            if s["pos"] is None:
+                edge[s["low"] & _PLACE] += 1
+                edge[(s["high"] & _PLACE) + width] -= 1
     return np.cumsum(edge[:-1]) > 0
 
 
-def _judged(docs: DataFrame, width: int) -> DataFrame:
-    found = repeated(docs, width)
-    return _with_positions(docs, found.select("doc", F.struct("pos", "low", "high").alias("spot")), "left")
-
-
 def removal(docs: DataFrame, width: int = 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_words, n_removed, kept_sha256) for every row.
 
     A word is removed if a window of ``width`` words that covers it also starts earlier: in a document with a smaller
     id, or earlier in the same one. Null, empty and short texts lose nothing. Rows without an id lose nothing. Rows
-    that repeat an id are the same document. Other columns are not read.
+    that repeat id and text are the same document; of rows with one id and different texts that with the smaller MD5
+    digest comes first. An empty table gives no rows. Other columns are not read.
     """
-    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    docs = _numbered(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")))
 
     def digest(batches):
-        for b in batches:
+        for b in sliced(batches):
             n, gone, sha = [], [], []
             for text, spots in zip(b.column(1).to_pylist(), b.column(2).to_pylist()):
                 words = words_of(text)
@@ -292,7 +318,8 @@ def removal(docs: DataFrame, width: int = 20, id_col: str = "doc_id", text_col:
                 sha.append(hashlib.sha256(b" ".join(kept)).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
-    return _judged(docs, width).select("doc_id", "text", "spots").mapInArrow(digest, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    found = repeated(docs, width).select("doc", F.struct("pos", "low", "high").alias("spot"))
+    return _with_positions(docs, found, "left").select("doc_id", "text", "spots").mapInArrow(digest, "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
 _SPACED = re.compile(rb"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*")
@@ -301,17 +328,19 @@ _SPACED = re.compile(rb"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*")
 def remove_repeats(docs: DataFrame, width: int) -> DataFrame:
     """``docs`` with the repeated words cut out of ``text``, each with the white space after it; all columns and rows stay.
 
-    Null texts stay null. Texts that lose nothing are unchanged to the byte.
+    Null texts stay null. Texts that lose nothing are unchanged to the byte. Rows of one id with different texts are
+    different documents, as in ``removal``; further columns may have any names.
     """
     names, schema = docs.columns, docs.schema
-    own = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
-    found = repeated(own.select("doc_id", "text"), width)
-    joined = _with_positions(own.withColumnRenamed("spots", "_spots") if "spots" in names else own, found.select("doc", F.struct("pos", "low", "high").alias("spot")), "left")
+    sub, there = (f"{_free_prefix(names)}_{x}" for x in ("sub", "spots"))
+    own = _numbered(docs.withColumn("doc_id", F.col("doc_id").cast("long")), sub)
+    found = repeated(own.select("doc_id", "text", F.col(sub).alias("sub")), width)
+    joined = _with_positions(own, found.select("doc", F.struct("pos", "low", "high").alias("spot")), "left", sub, there)
 
     def cut(batches):
-        for b in batches:
+        for b in sliced(batches):
             out = []
-            for text, spots in zip(b.column("text").to_pylist(), b.column("spots").to_pylist()):
+            for text, spots in zip(b.column("text").to_pylist(), b.column(there).to_pylist()):
                 if text is None or not spots:
                     out.append(text)
                     continue
@@ -319,7 +348,7 @@ def remove_repeats(docs: DataFrame, width: int) -> DataFrame:
                 cover = _coverage(raw.split(), spots, width)
                 head = raw[: len(raw) - len(raw.lstrip())]
                 out.append(text if not cover.any() else (head + b"".join(p for p, c in zip(_SPACED.findall(raw), cover) if not c)).decode("utf-8", "surrogatepass"))
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if n == "text" else b.column("_spots" if n == "spots" else n) for n in names], names)
+            yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if n == "text" else b.column(n) for n in names], names)
 
     return joined.mapInArrow(cut, schema)
 

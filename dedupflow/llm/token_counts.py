@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Memo
+from .common import Memo, sliced
 
 #: Control characters that Python's split() takes for white space and the tokenizer's pattern does not.
 _ODD = re.compile("[\x1c-\x1f]")
@@ -80,7 +80,7 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: st
 
     def count(batches):
         own = counter(vocabulary)
-        for b in batches:
+        for b in sliced(batches):
             texts = [t or "" for t in b.column(1).to_pylist()]
             n = [own.total(t) for t in texts]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
@@ -93,7 +93,7 @@ def prefix_tables(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text
 
     def tables(batches):
         own = counter(vocabulary)
-        for b in batches:
+        for b in sliced(batches):
             made = [own.table(t or "") for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([e for e, _ in made], pa.list_(pa.int64())), pa.array([c for _, c in made], pa.list_(pa.int64()))], ["doc_id", "ends", "tokens"])
 

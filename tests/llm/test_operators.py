@@ -363,6 +363,18 @@ def test_automaton_statistics_equal_brute_force():
         assert a.statistics(q) == [max([n for n in range(1, i + 2) if tuple(q[i + 1 - n : i + 1]) in known], default=0) for i in range(len(q))]
 
 
+def test_substring_ids_with_several_texts(spark):
+    rng = random.Random(5)
+    a, b = (" ".join(f"{p}{rng.randint(0, 999)}" for _ in range(60)) for p in "ab")
+    rows = [(1, a), (2, a), (2, b), (2, a), (3, "x " + b), (4, None), (None, a)]
+    got = [(r.doc_id, r.n_words, r.n_removed) for r in substring_dup.removal(frame(spark, rows), 20).collect()]
+    assert sorted(got, key=repr) == sorted([(1, 60, 0), (2, 60, 60), (2, 60, 60), (2, 60, 0), (3, 61, 60), (4, 0, 0), (None, 60, 0)], key=repr)
+    clashing = frame(spark, rows).withColumns({c: F.lit(c) for c in ("spots", "_spots", "sub", "their_id", "digest", "pos")})
+    kept = substring_dup.remove_repeats(clashing, 20)
+    assert kept.columns == clashing.columns
+    assert rows_of(kept, "doc_id", "text", "_spots") == sorted([(1, a, "_spots"), (2, "", "_spots"), (2, "", "_spots"), (2, b, "_spots"), (3, "x ", "_spots"), (4, None, "_spots"), (None, a, "_spots")], key=repr)
+
+
 # ---------------------------------------------------------------- 6 and 7
 
 
@@ -514,8 +526,7 @@ def test_toxicity_models_are_probabilities_and_equal_plain_dictionaries(spark):
             own = rest * (0.75 * sum(a == v for a, _ in bi[y]) / n if n else 1)
             assert abs(sum(given(y, v, w) for w in [*known, "?"]) + own - 1) < 1e-9
     text = "so rare an idiot, and a nice clown you see -- and you too"
-    numbers = np.array([x for x in map(model.number, text.split()) if x >= 0])
-    a, g = model.differences(numbers)
+    a, g = model.differences(model.numbers(np.array([toxicity._hashed(t) for t in text.split()], np.uint64)))
     words = words_of(text)
     assert np.allclose(a, [math.log(alone(1, w) / alone(0, w)) for w in words], atol=1e-5)
     assert np.allclose(g[1:], [math.log(given(1, v, w) / given(0, v, w)) for v, w in zip(words, words[1:])], atol=1e-5)
