@@ -78,11 +78,13 @@ def order_key(sent: Column, seq: Column, sid: Column, seqs: int = 10**9, sids: i
     """Total order (sent, seq, sid) as one BIGINT, so that the first claim is a hash aggregate without a sort.
 
     ``sent`` is in milliseconds since the start of the round; ``seqs`` and ``sids`` bound the other two. Bounds that
-    would leave less than 90 virtual minutes are refused; ``wide_order_key`` has none in practice.
+    would leave less than 90 virtual minutes are refused, and so are rows beyond the bounds, when they are computed;
+    ``wide_order_key`` has none in practice.
     """
     if seqs * sids * 5_400_000 >= 2**63:
         raise ValueError("the parts do not fit 63 bits; use wide_order_key")
-    return sent.cast("long") * (seqs * sids) + F.pmod(seq, F.lit(seqs)) * sids + F.pmod(sid, F.lit(sids))
+    fits = (seq >= 0) & (seq < seqs) & (sid >= 0) & (sid < sids)
+    return F.when(fits, sent.cast("long") * (seqs * sids) + seq * sids + sid).otherwise(F.raise_error(F.lit("a number is beyond the bounds of the order key")).cast("long"))
 
 
 def wide_order_key(sent: Column, seq: Column, sid: Column) -> Column:

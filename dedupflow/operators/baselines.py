@@ -55,9 +55,29 @@ def pair_overlaps(edges: DataFrame) -> DataFrame:
 
 
 def pairwise_weighted(edges: DataFrame) -> DataFrame:
-    """(sid, tag, freq, w): every copy trained with the inverse of how many clients have it."""
-    freq = edges.groupBy("tag").agg(F.count(F.lit(1)).alias("freq"))
-    return edges.join(freq, "tag").select("sid", "tag", "freq", (1 / F.col("freq")).alias("w"))
+    """(sid, tag, freq, w): every copy trained with the inverse of how many clients have it.
+
+    As in the compared scheme a client learns that number from its intersections with every other one, a pair of
+    clients at a time: one for itself and one for each intersection that holds the record.
+    """
+    a, b = edges.select("sid", "tag"), edges.select(F.col("sid").alias("other"), "tag")
+    met = a.join(b, "tag").where("sid <> other").groupBy("sid", "tag").agg(F.count(F.lit(1)).alias("met"))
+    freq = F.lit(1) + F.coalesce("met", F.lit(0))
+    return edges.select("sid", "tag").join(met, ["sid", "tag"], "left").select("sid", "tag", freq.alias("freq"), (1 / freq).alias("w"))
+
+
+def group_intersections(edges: DataFrame, n_clients: int, record_bytes: int = 32) -> DataFrame:
+    """(level, pairs, common, sent_bytes): the tree's group intersections, with what both groups of every pair send each other.
+
+    The edges' tags come from ``tag_for`` with either cipher; ``record_bytes`` is what a record of it takes on the wire.
+    """
+    out = None
+    for level in range(levels(n_clients)):
+        groups = edges.select("tag", F.shiftright("sid", level).alias("g")).distinct().withColumn("pair", F.shiftright("g", 1))
+        met = groups.groupBy("pair", "tag").agg(F.count(F.lit(1)).alias("n"))
+        row = met.agg(F.lit(level).alias("level"), F.count_distinct("pair").alias("pairs"), F.count(F.when(F.col("n") == 2, 1)).alias("common"), (F.sum("n") * record_bytes).alias("sent_bytes"))
+        out = row if out is None else out.unionAll(row)
+    return out
 
 
 def rerun_after_loss(edges: DataFrame, lost: DataFrame, n_clients: int) -> tuple[DataFrame, DataFrame]:

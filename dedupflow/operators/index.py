@@ -35,6 +35,12 @@ def append_state(state: DataFrame | None, requests: DataFrame) -> DataFrame:
     return fresh if state is None else state.select(*fresh.columns).unionByName(fresh)
 
 
+def add_owners(state: DataFrame, edges: DataFrame, requests: DataFrame) -> DataFrame:
+    """States whose ``n_owners`` count the requests' owners that ``edges`` do not have yet; only what is new is counted."""
+    new = requests.select("sid", "tag").distinct().join(edges.select("sid", "tag"), ["sid", "tag"], "left_anti").groupBy("tag").agg(F.count(F.lit(1)).alias("more"))
+    return state.join(new, "tag", "left").withColumn("n_owners", F.col("n_owners") + F.coalesce("more", F.lit(0))).drop("more")
+
+
 def recount_owners(state: DataFrame, edges: DataFrame) -> DataFrame:
     """States with the owners counted anew from the edges."""
     n = edges.groupBy("tag").agg(F.count(F.lit(1)).alias("n"))
@@ -61,9 +67,9 @@ def capacity(total_input: int, slots_per_record: float = 1.0) -> int:
     return 1 << max(0, math.ceil(math.log2(max(1, total_input * slots_per_record))))
 
 
-def create(spark: SparkSession, database: str, name: str, expected: int, rows_per_bucket: int = 2_000_000) -> int:
+def create(spark: SparkSession, database: str, name: str, expected: int, rows_per_bucket: int = 2_000_000, least: int = 1) -> int:
     """Empty bucketed tables of both directions, sized before anything is inserted; returns the number of buckets."""
-    buckets = max(1, capacity(expected) // rows_per_bucket)
+    buckets = max(least, capacity(expected) // rows_per_bucket)
     spark.sql(f"CREATE DATABASE IF NOT EXISTS {database}")
     empty = spark.createDataFrame([], EDGE).withColumn("tag_key", tag_key(F.col("tag")))
     for layout, key in (("by_tag", "tag_key"), ("by_sid", "sid")):

@@ -11,7 +11,7 @@ from . import claims, index, queues
 def join_clients(state: DataFrame, edges: DataFrame, new_edges: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(next state, next edges, replies to newcomers). Entries that exist are refused early; only unseen tags are won."""
     after_edges = index.append_edges(edges, new_edges)
-    created = index.append_state(state, new_edges)
+    created = index.append_state(index.add_owners(state, edges, new_edges), new_edges)
     after = claims.claim(created, claims.requests_of(new_edges))
     return after, after_edges, queues.reply(new_edges, after)
 

@@ -12,13 +12,25 @@ from .index import FREE, HELD
 COLUMNS = ("tag", "state", "holder", "last_holder", "epoch", "n_owners")
 
 
+#: Lost clients named as literals, which prune a layout by client; more than these are joined.
+MOST_LITERALS = 1000
+
+
+def owned_by(edges_by_sid: DataFrame, lost: DataFrame) -> DataFrame:
+    """(tag, sid) that the lost own. Their numbers are literals in the filter, so a stored layout opens their buckets only."""
+    sids = [r.sid for r in lost.select("sid").where("sid IS NOT NULL").distinct().limit(MOST_LITERALS + 1).collect()]
+    if len(sids) > MOST_LITERALS:
+        return edges_by_sid.join(lost.select("sid").distinct(), "sid", "left_semi").select("tag", "sid")
+    return edges_by_sid.where(F.col("sid").isin(sids)).select("tag", "sid")
+
+
 def release(state: DataFrame, edges_by_sid: DataFrame, lost: DataFrame) -> DataFrame:
     """(tag, from_sid): tags that lost clients hold, found through the layout by client.
 
-    Only what the lost own is read (a bucketed layout prunes to their buckets), and only entries held by them are
-    released: done work stays, and in the dedup phase, when nobody holds anything, the result is empty.
+    Only what the lost own is read, and only entries held by them are released: done work stays, and in the dedup
+    phase, when nobody holds anything, the result is empty.
     """
-    owned = edges_by_sid.join(F.broadcast(lost.select("sid")), "sid").select("tag", "sid")  # N clients at most
+    owned = owned_by(edges_by_sid, lost)
     held = state.where(F.col("state") == HELD).select("tag", "holder")
     return held.join(owned, (held["tag"] == owned["tag"]) & (held["holder"] == owned["sid"])).select(held["tag"], F.col("sid").alias("from_sid"))
 

@@ -27,14 +27,14 @@ def assign(state: DataFrame, edges: DataFrame, risk: DataFrame, online: DataFram
     """(tag, sid, how): the trainer of every tag in the new round.
 
     A healthy online last trainer keeps the tag. Otherwise a safe online owner by ``pick``; without any, the last
-    trainer if online though risky; else the smallest online owner; else nobody. With ``use_history`` off the last
-    trainer keeps the tag whatever its record. Only tags without a healthy trainer meet the edges.
+    trainer if online though risky; else the smallest online owner; else nobody. With ``use_history`` off the
+    record of losses is ignored, and only that: absent trainers are replaced and new tags assigned as well. Only tags
+    without a healthy trainer meet the edges.
     """
+    risk = risk if use_history else risk.limit(0)
     risk_ = F.broadcast(risk.select(F.col("sid").alias("last_holder"), F.lit(True).alias("risky")).distinct())
     alive = F.broadcast(online.select(F.col("sid").alias("last_holder"), F.lit(True).alias("alive")).distinct())
     marked = state.select("tag", "last_holder").join(risk_, "last_holder", "left").join(alive, "last_holder", "left")
-    if not use_history:
-        return marked.select("tag", F.col("last_holder").alias("sid"), F.when(F.col("last_holder").isNull(), NONE).otherwise(KEPT).alias("how"))
     healthy = F.coalesce("alive", F.lit(False)) & ~F.coalesce("risky", F.lit(False))
     kept = marked.where(healthy).select("tag", F.col("last_holder").alias("sid"), F.lit(KEPT).alias("how"))
     rest = marked.where(~healthy).select("tag", "last_holder", F.coalesce("alive", F.lit(False)).alias("alive"))

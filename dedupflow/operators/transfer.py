@@ -9,9 +9,9 @@ from pyspark.sql import functions as F
 def split(files: DataFrame, size: int = 65536) -> DataFrame:
     """(file_id, seq, offset, data, digest) of files (file_id, data); an empty file is one empty chunk."""
     n = F.greatest(F.lit(1), F.ceil(F.octet_length("data") / size)).cast("int")
-    parts = files.select("file_id", "data", F.explode(F.sequence(F.lit(0), n - 1)).alias("seq"))
-    piece = F.substring(F.col("data"), F.col("seq") * size + 1, F.lit(size))
-    return parts.select("file_id", "seq", (F.col("seq") * size).cast("long").alias("offset"), piece.alias("data")).withColumn("digest", F.sha2("data", 256))
+    cut = F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.substring(F.col("data"), i * size + 1, F.lit(size)))
+    parts = files.select("file_id", F.posexplode(cut).alias("seq", "data"))
+    return parts.select("file_id", "seq", (F.col("seq") * size).cast("long").alias("offset"), "data").withColumn("digest", F.sha2("data", 256))
 
 
 def verify(chunks: DataFrame) -> DataFrame:
