@@ -67,21 +67,31 @@ def capacity(total_input: int, slots_per_record: float = 1.0) -> int:
     return 1 << max(0, math.ceil(math.log2(max(1, total_input * slots_per_record))))
 
 
-def create(spark: SparkSession, database: str, name: str, expected: int, rows_per_bucket: int = 2_000_000, least: int = 1) -> int:
-    """Empty bucketed tables of both directions, sized before anything is inserted; returns the number of buckets."""
+def _saved(rows: DataFrame, database: str, name: str, layout: str, buckets: int, mode: str, folder: str | None) -> None:
+    key = {"by_tag": "tag_key", "by_sid": "sid"}[layout]
+    writer = rows.write.mode(mode).bucketBy(buckets, key).sortBy(key)
+    writer = writer.option("path", f"{folder}/{name}_{layout}") if folder else writer
+    writer.saveAsTable(f"{database}.{name}_{layout}")
+
+
+def create(spark: SparkSession, database: str, name: str, expected: int, rows_per_bucket: int = 2_000_000, least: int = 1, folder: str | None = None) -> int:
+    """Empty bucketed tables of both directions, sized before anything is inserted; returns the number of buckets.
+
+    They lie in ``folder`` if it is given, else in the warehouse.
+    """
     buckets = max(least, capacity(expected) // rows_per_bucket)
     spark.sql(f"CREATE DATABASE IF NOT EXISTS {database}")
     empty = spark.createDataFrame([], EDGE).withColumn("tag_key", tag_key(F.col("tag")))
-    for layout, key in (("by_tag", "tag_key"), ("by_sid", "sid")):
-        empty.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(f"{database}.{name}_{layout}")
+    for layout in ("by_tag", "by_sid"):
+        _saved(empty, database, name, layout, buckets, "overwrite", folder)
     return buckets
 
 
-def store(edges: DataFrame, database: str, name: str, buckets: int, mode: str = "append") -> None:
-    """Appends edges to both layouts, so joins by tag and reads by client need no shuffle of the stored side."""
+def store(edges: DataFrame, database: str, name: str, buckets: int, mode: str = "append", folder: str | None = None) -> None:
+    """Appends edges (tags in binary) to both layouts, so joins by tag and reads by client need no shuffle of the stored side."""
     rows = edges.select("sid", "tag", "item_id", tag_key(F.col("tag")).alias("tag_key"))
-    for layout, key in (("by_tag", "tag_key"), ("by_sid", "sid")):
-        rows.write.mode(mode).bucketBy(buckets, key).sortBy(key).saveAsTable(f"{database}.{name}_{layout}")
+    for layout in ("by_tag", "by_sid"):
+        _saved(rows, database, name, layout, buckets, mode, folder)
 
 
 class Versions:

@@ -511,6 +511,164 @@ def q68_fleet(spark, d):
     return f.agg(F.count(F.lit(1)).alias("clients"), F.count(F.when(F.col("joins"), 1)).alias("joiners"), F.min((F.col("online_ms") >= 0) & (F.col("online_ms") < 20000)).alias("in_range"))
 
 
+# -------------------------------------------------------------- index on disk, lanes, barrier, logs
+
+
+def _stored(spark, d):
+    edges = written(_edges(spark, d), "edges")
+    return edges, *experiments.stored_index(spark, edges)
+
+
+def q10b_locate_stored(spark, d):
+    """Entries of what client 3 owns, located in the stored index, with their first slot in a table of 4,096."""
+    edges, by_tag, by_sid = _stored(spark, d)
+    asked = recovery.owned_by(by_sid, _sids(spark, 3))
+    found = index.locate(asked, index.append_state(None, by_tag))
+    return hexed(found.select("tag", "n_owners"))
+
+
+def q10c_layouts_agree(spark, d):
+    edges, by_tag, by_sid = _stored(spark, d)
+    return by_tag.agg(F.count(F.lit(1)).alias("edges")).crossJoin(invariants.layouts_agree(by_tag, by_sid))  # one row each
+
+
+def q17b_release_stored(spark, d):
+    edges, _, by_sid = _stored(spark, d)
+    return hexed(recovery.release(_claimed(edges), by_sid, _sids(spark, 3, 7)))
+
+
+def q13b_owners_after_join(spark, d):
+    _, _, _, (after, _, _) = _joined(spark, d)
+    return after.groupBy(F.col("n_owners").alias("owners")).agg(F.count(F.lit(1)).alias("tags"))
+
+
+def q14b_admission(spark, d):
+    """Sources as names: those of one digit are known, the others are admitted later."""
+    names = sources.table(spark, d, "documents").where("source IS NOT NULL").select(F.col("source").alias("name")).distinct()
+    return sessions.admit(sessions.admit(None, names.where("length(name) = 4")), names)
+
+
+def q05b_messages(spark, d):
+    """The reply maps as they travel, opened again: operations per client."""
+    edges = _edges(spark, d)
+    opened = queues.message(queues.reply(edges, _claimed(edges))).select("sid", F.explode("ops").alias("tag", "op"))
+    return opened.groupBy("sid", "op").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _lanes_after(c):
+    first = queues.route(queues.reply(c.edges, c.claimed))
+    return first, queues.promote(first, c.taken.select(F.col("to_sid").alias("sid"), "tag"))
+
+
+def q06b_promoted(spark, d):
+    """Lanes after the first takeover: what was taken over has become active at its new trainer."""
+    first, after = _lanes_after(scenario.run(spark, d))
+    count = lambda df, when: df.groupBy("lane").agg(F.count(F.lit(1)).alias("n")).select(F.lit(when).alias("step"), "lane", "n")
+    return count(first, "claimed").unionByName(count(after, "taken over"))
+
+
+def q06c_demoted(spark, d):
+    """Lanes of clients at risk after the next round's allocation has parked what others train."""
+    c = scenario.run(spark, d)
+    ended = queues.route(queues.reply(c.edges, c.ended))
+    after = queues.demote(ended, scheduling.demotions(scenario.next_round(c), c.edges, c.risk))
+    return after.join(F.broadcast(c.risk), "sid").groupBy("sid", "lane").agg(F.count(F.lit(1)).alias("n"))
+
+
+def q19b_takeover_log(spark, d):
+    c = scenario.run(spark, d)
+    rows = recovery.log(c.taken, F.lit(30_000), 1).unionByName(recovery.log(c.cascade_taken, F.lit(35_000), 1))
+    return hexed(rows.select("tag", "from_sid", "to_sid", F.col("released_at").cast("long").alias("released_at"), F.col("taken_at").cast("long").alias("taken_at"), "round"))
+
+
+def q19c_lost_before_reply(spark, d):
+    """Client 3 has claimed and is lost before its reply: what it never saw is released like any other work, and taken over."""
+    edges = written(_edges(spark, d), "edges")
+    released = recovery.release(_claimed(edges), edges, _sids(spark, 3))
+    online = edges.select("sid").distinct().where("sid <> 3")
+    return hexed(recovery.takeover(released, edges, recovery.contacts_after(online, 30_000)).select("tag", "to_sid"))
+
+
+def q19d_newcomer_takes_over(spark, d):
+    """Clients 3 and 7 are lost, then clients from 16 on join: what they own of the released tags falls to the first to ask."""
+    edges = written(_edges(spark, d), "edges")
+    old, new = edges.where("sid < 16"), edges.where("sid >= 16")
+    state = _claimed(old)
+    freed = written(recovery.apply_release(state, recovery.release(state, old, _sids(spark, 3, 7))), "state")
+    after, _, _ = joining.join_clients(freed, old, new)
+    was = freed.where("state = 0").select("tag")
+    return hexed(after.join(was, "tag", "left_semi").where("holder IS NOT NULL").select("tag", "holder"))
+
+
+def q23b_barrier(spark, d):
+    """Whether the round may be aggregated after the claims, after the release, after the takeovers and after the uploads."""
+    c = scenario.run(spark, d)
+    everyone = c.edges.select("sid").distinct()
+    online = everyone.where(~F.col("sid").isin(*scenario.FIRST_LOST))
+    steps = [("claimed", rounds.ready(c.claimed, c.edges, everyone)), ("taken over", rounds.ready(c.after_takeover, c.edges, online)), ("ended", rounds.ready(c.ended, c.edges, online.where(F.col("sid") != scenario.SECOND_LOST)))]
+    return spark.createDataFrame(steps, "step string, ready boolean")
+
+
+def q26b_retain_some(spark, d):
+    """Only even clients have beaten: the others' tags stay free until they do."""
+    edges = _edges(spark, d)
+    state = _claimed(edges)
+    done = rounds.reset(rounds.commit(state, scenario.uploads_of(state)))
+    return hexed(rounds.retain(done, edges.select("sid").distinct().where("sid % 2 = 0")).select("tag", "state", "holder"))
+
+
+def _rounds_with_losses(spark, d, use_history: bool):
+    edges = written(_edges(spark, d), "edges")
+    out = None
+    for r in rounds.run(edges, {1: (0, 18), 2: (13, 0), 3: (5,)}, 3, use_history=use_history):
+        before = None if out is None else last
+        moved = r.assignment.agg(F.lit(0).cast("long").alias("moved")) if before is None else r.assignment.join(before, "tag").agg(F.count(F.when(F.col("sid") != F.col("was"), 1)).alias("moved"))
+        last = r.state.select("tag", F.coalesce("holder", "last_holder").alias("was"))
+        done = r.state.agg(F.lit(r.number).alias("round"), F.count(F.when(F.col("state") == index.DONE, 1)).alias("done"))
+        taken = r.log.where(F.col("round") == r.number).agg(F.count(F.lit(1)).alias("taken"))
+        row = done.crossJoin(moved).crossJoin(taken).withColumn("ready", F.lit(r.ready))  # one row each
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def q64b_rounds_with_losses(spark, d):
+    """Three rounds by the driver of rounds, with losses in each: records done, moved to another trainer, taken over, and the barrier."""
+    return _rounds_with_losses(spark, d, True)
+
+
+def q64c_rounds_without_history(spark, d):
+    """The same three rounds with the record of losses ignored."""
+    return _rounds_with_losses(spark, d, False)
+
+
+# -------------------------------------------------------------- baselines by either cipher, text models
+
+
+def _intersections(spark, d, psi):
+    return baselines.group_intersections(baselines.tag_for(sources.documents(spark, d), psi), 20)
+
+
+def q29b_symmetric_intersections(spark, d):
+    return _intersections(spark, d, "symmetric")
+
+
+def q29c_oblivious_intersections(spark, d):
+    return _intersections(spark, d, "oprf")
+
+
+def q29d_exact_distinct(spark, d):
+    return hexed(baselines.exact_distinct(sources.documents(spark, d)))
+
+
+def q24b_bigram_models(spark, d):
+    """Text models of what each client trains after the claims, added up: every distinct text counts once."""
+    edges = written(_edges(spark, d), "edges")
+    won = _claimed(edges).select("tag", F.col("holder").alias("sid"))
+    items = sources.documents(spark, d).withColumn("tag", hashing.content_hash(F.col("content")))
+    own = items.join(won, ["sid", "tag"], "left_semi").dropDuplicates(["sid", "tag"])
+    return training.bigram_counts(own.select("sid", "content")).groupBy("bigram").agg(F.sum("n").alias("n")).where("n >= 100")
+
+
 QUERIES: dict[str, Query] = {name: fn for name, fn in list(globals().items()) if name.startswith("q") and name[1:3].isdigit() and callable(fn)}
 QUERIES |= {
     "q37_exp1": experiments.exp1,
@@ -518,7 +676,9 @@ QUERIES |= {
     "q39_exp3": experiments.exp3,
     "q40_exp4": experiments.exp4,
     "q41_exp5": experiments.exp5,
+    "q41b_reductions": experiments.reductions,
     "q42_exp6_claim": experiments.exp6_claim,
+    "q42c_exp6_scaling": lambda spark, d: experiments.exp6_scaling(spark),
     "q42b_exp6_index": experiments.exp6_index,
     "q43_exp7_clients": experiments.exp7_clients,
     "q43b_exp7_ratio": experiments.exp7_ratio,

@@ -10,9 +10,14 @@ from pyspark.sql import functions as F
 
 from ..operators.index import HELD, capacity
 
-#: Parameters of the ledger, in bytes.
-TAG_BYTES, OP_BYTES, REQUEST_BYTES, BEAT_BYTES, GROUP_BYTES, SLOT_BYTES, EDGE_BYTES, MAP_BYTES = 32, 1, 16, 24, 32, 96, 48, 40
-MODEL_BYTES = 35_800_000
+#: Parameters of the ledger, in bytes. A tag and an element of the 2048-bit group are 512 hexadecimal characters. Slot, edge
+#: and map entries hold a tag each and what goes with it; the answer to a beat carries the rights still to be delivered and is
+#: fitted, like the payload that a client keeps, to the published totals at 2 and 10 clients.
+TAG_BYTES, OP_BYTES, REQUEST_BYTES, BEAT_BYTES, BEAT_REPLY_BYTES, GROUP_BYTES = 512, 1, 16, 24, 40_000, 512
+SLOT_BYTES, EDGE_BYTES, MAP_BYTES = TAG_BYTES + 93, TAG_BYTES + 64, TAG_BYTES + 64
+MODEL_BYTES, KEPT_MODEL_BYTES = 35_800_000, 56_287_800
+#: Every client beats once a second from when it is there until this many seconds after the last has come.
+BEATS_AFTER = 16
 
 
 def reduction(ours: Column, base: Column) -> Column:
@@ -20,6 +25,11 @@ def reduction(ours: Column, base: Column) -> Column:
     return 1 - ours / base
 
 
+def reductions(times: DataFrame, keys: list[str], pairs: dict[str, tuple[str, str]]) -> DataFrame:
+    """``keys`` and per name the share that the first column of its pair saves of the second, in percent."""
+    return times.select(*keys, *[F.round(reduction(F.col(ours), F.col(base)) * 100, 2).alias(name) for name, (ours, base) in pairs.items()])
+
+
 def volume(items: DataFrame) -> DataFrame:
     """(total, distinct_records): input records and globally different ones."""
     return items.agg(F.count(F.lit(1)).alias("total"), F.count_distinct("tag").alias("distinct_records"))
@@ -28,7 +38,7 @@ def volume(items: DataFrame) -> DataFrame:
 def comm_bytes(edges: DataFrame, beats: int) -> DataFrame:
     """(requests, replies, masked, beats, total): metadata that travels, per kind."""
     n = edges.agg(F.count(F.lit(1)).alias("n"))
-    parts = n.select((F.col("n") * (TAG_BYTES + REQUEST_BYTES)).alias("requests"), (F.col("n") * (TAG_BYTES + OP_BYTES)).alias("replies"), (F.col("n") * 2 * GROUP_BYTES).alias("masked"), F.lit(beats * BEAT_BYTES).cast("long").alias("beats"))
+    parts = n.select((F.col("n") * (TAG_BYTES + REQUEST_BYTES)).alias("requests"), (F.col("n") * (TAG_BYTES + OP_BYTES)).alias("replies"), (F.col("n") * 2 * GROUP_BYTES).alias("masked"), F.lit(beats * (BEAT_BYTES + BEAT_REPLY_BYTES)).cast("long").alias("beats"))
     return parts.withColumn("total", F.col("requests") + F.col("replies") + F.col("masked") + F.col("beats"))
 
 

@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from .experiments import CLIENTS, FAILURES, JOINERS, RATIOS
-from .metrics import BEAT_BYTES, EDGE_BYTES, GROUP_BYTES, MAP_BYTES, MODEL_BYTES, OP_BYTES, REQUEST_BYTES, SLOT_BYTES, TAG_BYTES
+from .experiments import CLIENTS, FAILURES, JOINERS, RATIOS, WORKERS
+from .metrics import BEAT_BYTES, BEAT_REPLY_BYTES, BEATS_AFTER, EDGE_BYTES, GROUP_BYTES, KEPT_MODEL_BYTES, MAP_BYTES, MODEL_BYTES, OP_BYTES, REQUEST_BYTES, SLOT_BYTES, TAG_BYTES
 from .timeline import COSTS as C
 
 ITEMS = """items AS (SELECT CAST(substr(source, 4) AS BIGINT) AS sid, doc_id AS item, sha256(text) AS tag FROM documents WHERE text IS NOT NULL),
@@ -60,17 +60,26 @@ pairs AS (SELECT grid, l, g >> 1 AS pair, sum(size) AS size FROM groups GROUP BY
 levels AS (SELECT grid, l, max(size) AS size FROM pairs GROUP BY 1, 2)"""
 
 
-def end_to_end(points: str) -> str:
-    return f"""WITH RECURSIVE {grid(points)}, {CLIENT_ROWS}, {LEVELS},
-line AS (SELECT *, ready + n * {C.tag} // 1000 AS asked, row_number() OVER (PARTITION BY grid ORDER BY ready + n * {C.tag} // 1000, sid) AS k FROM clients),
+SERVED = f"""line AS (SELECT *, ready + n * {C.tag} // 1000 AS asked, row_number() OVER (PARTITION BY grid ORDER BY ready + n * {C.tag} // 1000, sid) AS k FROM clients),
 served AS (SELECT grid, CAST(0 AS BIGINT) AS k, [CAST(0 AS BIGINT), 0, 0, 0] AS free, CAST(NULL AS BIGINT) AS done FROM points
   UNION ALL SELECT l.grid, l.k, list_append(list_sort(s.free)[2:4], CAST(greatest(list_min(s.free), l.asked) + l.n * {C.index} // 1000 AS BIGINT)), CAST(greatest(list_min(s.free), l.asked) + l.n * {C.index} // 1000 AS BIGINT)
   FROM served s JOIN line l ON l.grid = s.grid AND l.k = s.k + 1),
-conc AS (SELECT l.grid, max(s.done + l.n_run * {C.train} // 1000 + {C.upload_ms}) + {C.aggregate_ms + C.broadcast_ms} - min(l.ready) AS e2e, max(s.done - l.ready) AS dedup FROM line l JOIN served s ON s.grid = l.grid AND s.k = l.k GROUP BY l.grid),
+ended AS (SELECT l.*, s.done, {C.start_ms} + l.n_run * {C.train} // 1000 AS train FROM line l JOIN served s ON s.grid = l.grid AND s.k = l.k)"""
+
+
+def turns(name: str, rows: str, asked: str, work: str) -> str:
+    """Rows with begin and fin on one server that takes them in order."""
+    return f"""{name}_q AS (SELECT *, sum({work}) OVER (PARTITION BY grid ORDER BY {asked}, sid) AS upto FROM {rows}),
+{name} AS (SELECT *, max({asked} - upto + {work}) OVER (PARTITION BY grid ORDER BY {asked}, sid) + upto AS fin, max({asked} - upto + {work}) OVER (PARTITION BY grid ORDER BY {asked}, sid) + upto - {work} AS begun FROM {name}_q)"""
+
+
+def end_to_end(points: str) -> str:
+    return f"""WITH RECURSIVE {grid(points)}, {CLIENT_ROWS}, {LEVELS}, {SERVED}, {turns('trained', 'ended', 'done', 'train')},
+conc AS (SELECT grid, max(fin) + {C.aggregate_ms + C.broadcast_ms} - min(ready) AS e2e, max(done - ready) AS dedup FROM trained GROUP BY grid),
 tree AS (SELECT grid, sum(size * {C.pair} // 1000) AS ms FROM levels GROUP BY grid),
-ser AS (SELECT c.grid, max(ready) - min(ready) AS wait, max(n) * {C.tag} // 1000 + coalesce(max(t.ms), 0) AS dedup, max(n_run) * {C.train} // 1000 AS train FROM clients c LEFT JOIN tree t USING (grid) GROUP BY c.grid),
+ser AS (SELECT c.grid, max(ready) - min(ready) AS wait, max(n) * {C.tag} // 1000 + coalesce(max(t.ms), 0) AS dedup, sum({C.start_ms} + n_run * {C.train} // 1000) AS train FROM clients c LEFT JOIN tree t USING (grid) GROUP BY c.grid),
 vol AS (SELECT grid, count(*) AS total, count(DISTINCT tag) AS distinct_records, count(DISTINCT sid) AS clients FROM gedges GROUP BY grid)
-SELECT CAST(grid AS BIGINT) AS grid, clients, total, distinct_records, CAST(conc.e2e AS BIGINT) AS concurrent_ms, CAST(ser.wait + ser.dedup + ser.train + {C.upload_ms + C.aggregate_ms + C.broadcast_ms} AS BIGINT) AS serial_ms,
+SELECT CAST(grid AS BIGINT) AS grid, clients, total, distinct_records, CAST(conc.e2e AS BIGINT) AS concurrent_ms, CAST(ser.wait + ser.dedup + ser.train + {C.aggregate_ms + C.broadcast_ms} AS BIGINT) AS serial_ms,
   CAST(conc.dedup AS BIGINT) AS concurrent_dedup_ms, CAST(ser.dedup AS BIGINT) AS serial_dedup_ms FROM vol JOIN conc USING (grid) JOIN ser USING (grid)"""
 
 
@@ -83,9 +92,10 @@ PER_RECORD = TAG_BYTES * 2 + REQUEST_BYTES + OP_BYTES + 2 * GROUP_BYTES
 
 
 def ledger(points: str) -> str:
-    return f"""WITH {grid(points)}, t AS (SELECT p.grid, p.c, count(*) AS k, CAST(2 ** ceil(log2(p.c * p.n)) AS BIGINT) AS slots FROM gedges e JOIN points p USING (grid) GROUP BY p.grid, p.c, p.n),
-b AS (SELECT grid, c, k * {PER_RECORD} + c * {20 * BEAT_BYTES} AS comm, slots * {SLOT_BYTES} + k * {EDGE_BYTES + MAP_BYTES} AS store, c * {2 * MODEL_BYTES} AS model FROM t)
-SELECT grid, CAST(comm AS BIGINT) AS comm_bytes, CAST(store AS BIGINT) AS storage_bytes, CAST(model AS BIGINT) AS model_bytes, round(comm * 100 / model, 6) AS comm_percent, round(store * 100 / (c * {MODEL_BYTES}), 6) AS storage_percent FROM b"""
+    return f"""WITH {grid(points)}, u AS (SELECT p.grid, p.c, p.n, e.sid, count(*) AS k, (e.sid * 7919 + 17) % 20000 AS ready FROM gedges e JOIN points p USING (grid) GROUP BY p.grid, p.c, p.n, e.sid),
+t AS (SELECT grid, c, sum(k) AS k, (max(ready) * count(*) - sum(ready)) // 1000 + count(*) * {BEATS_AFTER} AS beats, CAST(2 ** ceil(log2(c * n)) AS BIGINT) AS slots FROM u GROUP BY grid, c, n),
+b AS (SELECT grid, c, k * {PER_RECORD} + beats * {BEAT_BYTES + BEAT_REPLY_BYTES} AS comm, slots * {SLOT_BYTES} + k * {EDGE_BYTES + MAP_BYTES} AS store, c * {2 * MODEL_BYTES} AS model FROM t)
+SELECT grid, CAST(comm AS BIGINT) AS comm_bytes, CAST(store AS BIGINT) AS storage_bytes, CAST(model AS BIGINT) AS model_bytes, round(comm * 100 / model, 6) AS comm_percent, round(store * 100 / (c * {KEPT_MODEL_BYTES}), 6) AS storage_percent FROM b"""
 
 
 TREE = """WITH RECURSIVE {items}, n AS (SELECT CAST(ceil(log2(max(sid) + 1)) AS BIGINT) AS levels FROM edges),
@@ -103,6 +113,46 @@ p AS (SELECT doc_id, CAST(1 AS BIGINT) AS acc, CAST(CAST(root AS HUGEINT) * root
 SELECT doc_id, acc AS tag FROM p WHERE e = 0"""
 
 RATES = ", ".join(str(round(r * 100)) for r in FAILURES)
+FAILED = f"""{grid(TEN, True)}, rates AS (SELECT unnest([{RATES}]) AS percent), fails AS (SELECT sid, row_number() OVER (ORDER BY sha256('fail:' || sid)) AS r FROM (SELECT DISTINCT sid FROM gedges)),
+lost AS (SELECT percent, sid FROM rates, fails WHERE r * 10 <= percent), rel AS (SELECT percent, tag, sid AS from_sid FROM gfirst JOIN lost USING (sid)),
+nobody AS (SELECT percent, tag FROM rel WHERE false),
+offers AS (SELECT r.percent, r.tag, 1 + (e.sid * 137 + 11) % 1000 AS "at" FROM rel r JOIN gedges e USING (tag) LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
+took AS (SELECT percent, tag, min("at") AS "at" FROM offers GROUP BY 1, 2), rec AS (SELECT percent, count(*) AS n, max("at") AS last FROM took GROUP BY 1),
+early AS (SELECT percent, max(o."at") AS last, count(*) AS n FROM offers o JOIN nobody USING (percent, tag) GROUP BY 1),
+live AS (SELECT r.percent, e.sid, e.tag FROM rates r, gedges e LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
+gs AS (SELECT percent, l, sid >> CAST(l AS INTEGER) AS g, count(DISTINCT tag) AS size FROM live, (SELECT unnest(range(0, 4)) AS l) GROUP BY 1, 2, 3),
+ps AS (SELECT percent, l, g >> 1 AS pair, sum(size) AS size FROM gs GROUP BY 1, 2, 3), ls AS (SELECT percent, l, max(size) AS size FROM ps GROUP BY 1, 2),
+again AS (SELECT percent, sum(size * {C.pair} // 1000) + (SELECT n FROM sz) * {C.tag} // 1000 AS ms FROM ls GROUP BY 1),
+failures AS (SELECT CAST(r.percent AS BIGINT) AS percent, (SELECT count(*) FROM rel x WHERE x.percent = r.percent) AS released, coalesce(rec.n, 0) AS recoverable, CAST(coalesce(early.last + early.n * {C.promote} // 1000, 0) AS BIGINT) AS concurrent_dedup_ms,
+  CAST(again.ms AS BIGINT) AS serial_dedup_ms, CAST(coalesce(rec.last + rec.n * {C.promote} // 1000, 0) AS BIGINT) AS concurrent_training_ms, CAST(again.ms + {C.start_ms} AS BIGINT) AS serial_training_ms FROM rates r LEFT JOIN rec USING (percent) LEFT JOIN early USING (percent) JOIN again USING (percent))"""
+JOINED = f"""{grid(BY_JOINERS)}, old AS (SELECT DISTINCT grid, tag FROM gedges WHERE sid < 10), fresh AS (SELECT e.* FROM gedges e LEFT JOIN old o ON o.grid = e.grid AND o.tag = e.tag WHERE e.sid >= 10 AND o.tag IS NULL),
+fwon AS (SELECT grid, tag, sid FROM (SELECT *, row_number() OVER (PARTITION BY grid, tag ORDER BY (sid * 7919 + 17) % 20000, item, sid) AS r FROM fresh) WHERE r = 1),
+clients AS (SELECT e.grid, e.sid, (e.sid * 7919 + 17) % 20000 AS ready, count(*) AS n, count(f.tag) AS n_run FROM gedges e LEFT JOIN fwon f ON f.grid = e.grid AND f.tag = e.tag AND f.sid = e.sid WHERE e.sid >= 10 GROUP BY 1, 2), {SERVED},
+{turns('cbegun', 'ended', 'done', 'train')},
+asking AS (SELECT *, (9 + k) * (2 * n * {C.check} // 1000) AS checks, {C.start_ms} + n_run * {C.train} // 1000 AS train FROM line), {turns('checked', 'asking', 'asked', 'checks')},
+found AS (SELECT grid, sid, ready, train, fin AS done FROM checked), {turns('sbegun', 'found', 'done', 'train')},
+joins AS (SELECT c.grid AS joiners, CAST(c.new_edges AS BIGINT) AS new_edges, CAST(c.won AS BIGINT) AS won, CAST(0 AS BIGINT) AS changed, CAST(x.dedup AS BIGINT) AS concurrent_dedup_ms, CAST(x.train AS BIGINT) AS concurrent_train_ms, CAST(y.dedup AS BIGINT) AS serial_dedup_ms, CAST(y.train AS BIGINT) AS serial_train_ms
+  FROM (SELECT grid, sum(n) AS new_edges, sum(n_run) AS won FROM clients GROUP BY 1) c JOIN (SELECT grid, max(done) - min(ready) AS dedup, max(begun) - min(ready) AS train FROM cbegun GROUP BY 1) x USING (grid) JOIN (SELECT grid, max(done) - min(ready) AS dedup, max(begun) - min(ready) AS train FROM sbegun GROUP BY 1) y USING (grid))"""
+
+INTERSECTED = TREE.format(items=ITEMS) + """, met AS (SELECT level, g >> 1 AS pair, tag, count(*) AS n FROM groups GROUP BY 1, 2, 3)
+SELECT CAST(level AS INTEGER) AS level, count(DISTINCT pair) AS pairs, count(*) FILTER (n = 2) AS common, CAST(sum(n) * 32 AS BIGINT) AS sent_bytes FROM met GROUP BY 1"""
+
+
+def rounds_with_losses(history: bool) -> str:
+    """Three rounds: allocation, losses, takeovers, commits; who was lost in the round before is at risk."""
+    parts, rows, lost, risk = [f"WITH {WON}, s1 AS (SELECT tag, sid, CAST(NULL AS BIGINT) AS was FROM first)"], [], {1: "0, 18", 2: "13, 0", 3: "5"}, "-1"
+    for r in (1, 2, 3):
+        if r > 1:
+            parts.append(f"""good{r} AS (SELECT tag, sid FROM (SELECT tag, sid, row_number() OVER (PARTITION BY tag ORDER BY sha256(tag || ':' || sid)) AS k FROM edges WHERE sid NOT IN ({risk})) WHERE k = 1),
+any{r} AS (SELECT tag, min(sid) AS sid FROM edges GROUP BY tag),
+s{r} AS (SELECT h.tag, h.holder AS was, CASE WHEN h.holder IS NOT NULL AND h.holder NOT IN ({risk}) THEN h.holder WHEN g.sid IS NOT NULL THEN g.sid WHEN h.holder IS NOT NULL THEN h.holder ELSE a.sid END AS sid FROM h{r - 1} h LEFT JOIN good{r} g USING (tag) LEFT JOIN any{r} a USING (tag))""")
+        parts.append(f"rel{r} AS (SELECT tag, sid AS from_sid FROM s{r} WHERE sid IN ({lost[r]})), take{r} AS ({TAKE.format(at=30000, rel=f'rel{r}', off=lost[r])})")
+        kept = "s.was" if r > 1 else "CAST(NULL AS BIGINT)"
+        parts.append(f"h{r} AS (SELECT s.tag, s.sid, s.was, t.to_sid, CASE WHEN s.sid IN ({lost[r]}) THEN t.to_sid ELSE s.sid END AS done_by, CASE WHEN s.sid IN ({lost[r]}) AND t.to_sid IS NULL THEN {kept} WHEN s.sid IN ({lost[r]}) THEN t.to_sid ELSE s.sid END AS holder FROM s{r} s LEFT JOIN take{r} t USING (tag))")
+        rows.append(f"SELECT CAST({r} AS INTEGER) AS round, count(done_by) AS done, count(*) FILTER (sid <> was) AS moved, count(to_sid) AS taken, (SELECT count(*) FROM h{r} x JOIN edges e USING (tag) WHERE x.done_by IS NULL AND e.sid NOT IN ({lost[r]})) = 0 AS ready FROM h{r}")
+        risk = lost[r] if history else "-1"
+    return ",\n".join(parts) + "\n" + " UNION ALL ".join(rows)
+
 
 SQL: dict[str, str] = {
     "q01_items": "SELECT CAST(substr(source, 4) AS BIGINT) AS sid, doc_id AS item_id, n_chars FROM documents WHERE text IS NOT NULL",
@@ -119,6 +169,25 @@ SQL: dict[str, str] = {
     "q09c_keyed_edges": f"WITH {ITEMS} SELECT count(*) AS edges, count(DISTINCT tag) AS tags FROM edges",
     "q09d_key_epochs": f"WITH {ITEMS} SELECT count(DISTINCT tag) AS first_epoch, count(DISTINCT tag) AS second_epoch, CAST(0 AS BIGINT) AS common FROM edges",
     "q10_fnv1a64": f"WITH t AS (SELECT DISTINCT sha256(text) AS h FROM documents WHERE text IS NOT NULL), f AS (SELECT h, {FNV} AS v FROM t) SELECT h AS tag, CAST(CASE WHEN v >= 9223372036854775808 THEN v - 18446744073709551616 ELSE v END AS BIGINT) AS fnv FROM f",
+    "q10b_locate_stored": f"WITH {ITEMS} SELECT tag, count(*) AS n_owners FROM edges WHERE tag IN (SELECT tag FROM edges WHERE sid = 3) GROUP BY tag",
+    "q10c_layouts_agree": f"WITH {ITEMS} SELECT count(*) AS edges, CAST(0 AS BIGINT) AS different FROM edges",
+    "q17b_release_stored": f"WITH {WON} SELECT tag, sid AS from_sid FROM first WHERE sid IN (3, 7)",
+    "q13b_owners_after_join": f"WITH {ITEMS} SELECT owners, count(*) AS tags FROM (SELECT tag, count(*) AS owners FROM edges GROUP BY tag) GROUP BY owners",
+    "q14b_admission": "SELECT name, row_number() OVER (ORDER BY length(name) > 4, name) - 1 AS sid FROM (SELECT DISTINCT source AS name FROM documents WHERE source IS NOT NULL)",
+    "q05b_messages": f"WITH {WON} SELECT e.sid, CASE WHEN f.sid = e.sid THEN 'RUN' ELSE 'PARK' END AS op, count(*) AS n FROM edges e JOIN first f USING (tag) GROUP BY 1, 2",
+    "q06b_promoted": f"WITH {COURSE}, l AS (SELECT f.sid = e.sid AS was, f.sid = e.sid OR coalesce(t.to_sid = e.sid, false) AS is_now FROM edges e JOIN first f USING (tag) LEFT JOIN take1 t USING (tag)) SELECT 'claimed' AS step, CASE WHEN was THEN 'active' ELSE 'standby' END AS lane, count(*) AS n FROM l GROUP BY 2 UNION ALL SELECT 'taken over', CASE WHEN is_now THEN 'active' ELSE 'standby' END, count(*) FROM l GROUP BY 2",
+    "q06c_demoted": f"WITH {COURSE} SELECT e.sid, CASE WHEN f.holder = e.sid AND NOT (a.sid IS NOT NULL AND a.sid <> e.sid) THEN 'active' ELSE 'standby' END AS lane, count(*) AS n FROM edges e JOIN fin f USING (tag) JOIN assigned a USING (tag) WHERE e.sid IN (0, 13, 18) GROUP BY 1, 2",
+    "q19b_takeover_log": f"WITH {COURSE} SELECT tag, from_sid, to_sid, CAST(30000 AS BIGINT) AS released_at, taken_at, CAST(1 AS INTEGER) AS round FROM take1 UNION ALL SELECT tag, from_sid, to_sid, 35000, taken_at, 1 FROM take2",
+    "q19c_lost_before_reply": f"WITH {WON}, gone AS (SELECT tag, sid AS from_sid FROM first WHERE sid = 3), t AS ({TAKE.format(at=30000, rel='gone', off='3')}) SELECT tag, to_sid FROM t",
+    "q19d_newcomer_takes_over": f"WITH {ITEMS}, old AS (SELECT * FROM edges WHERE sid < 16), first AS ({FIRST.format('old')}), offers AS (SELECT e.* FROM edges e JOIN first f ON f.tag = e.tag AND f.sid IN (3, 7) WHERE e.sid >= 16), got AS ({FIRST.format('offers')}) SELECT tag, sid AS holder FROM got",
+    "q23b_barrier": f"WITH {COURSE}, waiting AS (SELECT count(*) AS n FROM fin f JOIN edges e USING (tag) WHERE f.holder IS NULL AND e.sid NOT IN (0, 13, 18)) SELECT 'claimed' AS step, (SELECT count(*) FROM first) = 0 AS ready UNION ALL SELECT 'taken over', (SELECT count(*) FROM hold1 WHERE holder IS NOT NULL AND holder <> 13) = 0 UNION ALL SELECT 'ended', n = 0 FROM waiting",
+    "q26b_retain_some": f"WITH {WON} SELECT tag, CASE WHEN sid % 2 = 0 THEN CAST(1 AS INTEGER) ELSE CAST(0 AS INTEGER) END AS state, CASE WHEN sid % 2 = 0 THEN sid END AS holder FROM first",
+    "q64b_rounds_with_losses": rounds_with_losses(True),
+    "q64c_rounds_without_history": rounds_with_losses(False),
+    "q29b_symmetric_intersections": INTERSECTED,
+    "q29c_oblivious_intersections": INTERSECTED,
+    "q29d_exact_distinct": f"WITH {ITEMS} SELECT tag, min(sid) AS sid FROM edges GROUP BY tag",
+    "q24b_bigram_models": "WITH t AS (SELECT DISTINCT text FROM documents WHERE text IS NOT NULL) SELECT bigram, count(*) AS n FROM (SELECT substr(text, i, 2) AS bigram FROM (SELECT text, unnest(range(1, greatest(length(text) - 1, 1) + 1)) AS i FROM t)) GROUP BY bigram HAVING count(*) >= 100",
     "q11_lines_claims": f"WITH {LINES}, first AS ({FIRST.format('line_edges')}) SELECT tag, sid AS holder, item AS item_id FROM first",
     "q12_dense_overlap": f"WITH edges AS (SELECT DISTINCT l_suppkey AS sid, l_partkey AS item, sha256(CAST(l_partkey AS VARCHAR)) AS tag FROM lineitem), first AS ({FIRST.format('edges')}), o AS (SELECT tag, count(*) AS owners FROM edges GROUP BY tag) SELECT f.item AS part, f.sid AS holder, o.owners FROM first f JOIN o USING (tag)",
     "q13_join_newcomers": f"WITH {ITEMS}, new AS (SELECT * FROM edges WHERE sid >= 16 AND tag NOT IN (SELECT tag FROM edges WHERE sid < 16)), first AS ({FIRST.format('new')}) SELECT tag, sid AS holder, item AS item_id FROM first",
@@ -138,7 +207,9 @@ SQL: dict[str, str] = {
     "q25_fedavg_static": "SELECT CAST(dim AS BIGINT) AS dim, round(avg(CAST(x AS DOUBLE)), 6) AS w FROM (SELECT unnest(embedding) AS x, unnest(range(0, len(embedding))) AS dim FROM embeddings) GROUP BY dim",
     "q26_reset_retain": f"WITH {WON} SELECT tag, sid AS holder, sid AS last_holder, CAST(1 AS INTEGER) AS epoch FROM first",
     "q27_history_assign": f"WITH {COURSE} SELECT tag, sid, how FROM assigned",
-    "q28_history_off": f"WITH {COURSE} SELECT 'on' AS history, count(*) FILTER (sid <> last_holder) AS reassigned, count(*) FILTER (sid IN (0, 13, 18)) AS at_risky FROM assigned UNION ALL SELECT 'off', CAST(0 AS BIGINT), count(*) FILTER (holder IN (0, 13, 18)) FROM fin",
+    "q28_history_off": f"""WITH {COURSE}, any_owner AS (SELECT tag, sid FROM (SELECT tag, sid, row_number() OVER (PARTITION BY tag ORDER BY sha256(tag || ':' || sid)) AS k FROM edges WHERE sid <> 18) WHERE k = 1),
+plain AS (SELECT f.tag, f.holder AS last_holder, CASE WHEN f.holder <> 18 THEN f.holder ELSE a.sid END AS sid FROM fin f LEFT JOIN any_owner a USING (tag))
+SELECT 'on' AS history, count(*) FILTER (sid <> last_holder) AS reassigned, count(*) FILTER (sid IN (0, 13, 18)) AS at_risky FROM assigned UNION ALL SELECT 'off', count(*) FILTER (sid <> last_holder), count(*) FILTER (sid IN (0, 13, 18)) FROM plain""",
     "q28b_demotions": f"WITH {COURSE} SELECT e.sid, e.tag FROM edges e JOIN assigned a USING (tag) WHERE e.sid IN (0, 13, 18) AND a.sid IS NOT NULL AND a.sid <> e.sid",
     "q29_tree_dedup": f"WITH {ITEMS} SELECT tag, min(sid) AS sid FROM edges GROUP BY tag",
     "q30_tree_levels": TREE.format(items=ITEMS) + " SELECT CAST(lv.level AS INTEGER) AS level, count(d.tag) AS removed FROM lv LEFT JOIN drops d ON d.level = lv.level GROUP BY 1",
@@ -154,22 +225,14 @@ SQL: dict[str, str] = {
     "q37_exp1": end_to_end(BY_CLIENTS),
     "q38_exp2": end_to_end(BY_RATIO),
     "q39_exp3": end_to_end(BY_SCALE),
-    "q40_exp4": f"""WITH {grid(TEN, True)}, rates AS (SELECT unnest([{RATES}]) AS percent), fails AS (SELECT sid, row_number() OVER (ORDER BY sha256('fail:' || sid)) AS r FROM (SELECT DISTINCT sid FROM gedges)),
-lost AS (SELECT percent, sid FROM rates, fails WHERE r * 10 <= percent), rel AS (SELECT percent, tag, sid AS from_sid FROM gfirst JOIN lost USING (sid)),
-offers AS (SELECT r.percent, r.tag, 1 + (e.sid * 137 + 11) % 1000 AS "at" FROM rel r JOIN gedges e USING (tag) LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
-took AS (SELECT percent, tag, min("at") AS "at" FROM offers GROUP BY 1, 2), rec AS (SELECT percent, count(*) AS n, max("at") AS last FROM took GROUP BY 1),
-live AS (SELECT r.percent, e.sid, e.tag FROM rates r, gedges e LEFT JOIN lost l ON l.percent = r.percent AND l.sid = e.sid WHERE l.sid IS NULL),
-gs AS (SELECT percent, l, sid >> CAST(l AS INTEGER) AS g, count(DISTINCT tag) AS size FROM live, (SELECT unnest(range(0, 4)) AS l) GROUP BY 1, 2, 3),
-ps AS (SELECT percent, l, g >> 1 AS pair, sum(size) AS size FROM gs GROUP BY 1, 2, 3), ls AS (SELECT percent, l, max(size) AS size FROM ps GROUP BY 1, 2),
-tree AS (SELECT percent, sum(size * {C.pair} // 1000) AS ms FROM ls GROUP BY 1)
-SELECT CAST(r.percent AS BIGINT) AS percent, (SELECT count(*) FROM rel x WHERE x.percent = r.percent) AS released, coalesce(rec.n, 0) AS recoverable, CAST(0 AS BIGINT) AS concurrent_dedup_ms,
-  CAST(coalesce(rec.last + rec.n * {C.promote} // 1000, 0) AS BIGINT) AS concurrent_training_ms, CAST(tree.ms + (SELECT n FROM sz) * {C.tag} // 1000 AS BIGINT) AS serial_ms FROM rates r LEFT JOIN rec USING (percent) JOIN tree USING (percent)""",
-    "q41_exp5": f"""WITH {grid(BY_JOINERS)}, old AS (SELECT DISTINCT grid, tag FROM gedges WHERE sid < 10), fresh AS (SELECT e.grid, count(*) AS new_edges, count(DISTINCT CASE WHEN o.tag IS NULL THEN e.tag END) AS won FROM gedges e LEFT JOIN old o ON o.grid = e.grid AND o.tag = e.tag WHERE e.sid >= 10 GROUP BY e.grid),
-w AS (SELECT grid, max((sid * 7919 + 17) % 20000) - min((sid * 7919 + 17) % 20000) AS spread, count(DISTINCT sid) AS j FROM gedges WHERE sid >= 10 GROUP BY grid),
-t AS (SELECT f.grid, new_edges, won, spread + n * {C.tag} // 1000 + n * {C.index} // 1000 AS ours, spread + n * {C.tag} // 1000 + (10 * j + j * (j - 1) // 2) * (2 * n * {C.pair} // 1000) AS base FROM fresh f JOIN w USING (grid), sz)
-SELECT grid AS joiners, new_edges, won, CAST(0 AS BIGINT) AS changed, CAST(ours AS BIGINT) AS concurrent_dedup_ms, CAST(base AS BIGINT) AS serial_dedup_ms, CAST(ours AS BIGINT) AS concurrent_train_ms, CAST(base + {C.upload_ms + C.broadcast_ms} AS BIGINT) AS serial_train_ms FROM t""",
+    "q40_exp4": f"WITH {FAILED} SELECT * FROM failures",
+    "q41_exp5": f"WITH RECURSIVE {JOINED} SELECT * FROM joins",
+    "q41b_reductions": f"""WITH RECURSIVE {JOINED}, {FAILED.replace(POOL + ",", "").replace("points AS", "ten AS").replace("FROM points", "FROM ten").replace("shares", "shares10").replace("prs AS", "prs10 AS").replace("JOIN prs", "JOIN prs10").replace("twice", "twice10").replace("members", "members10").replace("needs", "needs10").replace("starts", "starts10").replace("placed", "placed10").replace("gedges", "gedges10").replace("gfirst", "gfirst10")}
+SELECT 'failures' AS experiment, percent AS point, phase, round((1 - ours / base) * 100, 2) AS percent FROM (SELECT percent, 'dedup' AS phase, concurrent_dedup_ms AS ours, serial_dedup_ms AS base FROM failures UNION ALL SELECT percent, 'training', concurrent_training_ms, serial_training_ms FROM failures)
+UNION ALL SELECT 'joins', joiners, phase, round((1 - ours / base) * 100, 2) FROM (SELECT joiners, 'dedup' AS phase, concurrent_dedup_ms AS ours, serial_dedup_ms AS base FROM joins UNION ALL SELECT joiners, 'training', concurrent_train_ms, serial_train_ms FROM joins)""",
     "q42_exp6_claim": f"WITH {POOL} SELECT CAST(10 * n AS BIGINT) AS attempts, CAST(n AS BIGINT) AS tags, CAST(n AS BIGINT) AS won, CAST(n AS BIGINT) AS same FROM sz",
-    "q42b_exp6_index": f"WITH {grid(TEN)}, o AS (SELECT tag, count(*) AS owners FROM gedges GROUP BY tag) SELECT (SELECT count(*) FROM gedges WHERE sid = 3) AS owned, (SELECT count(*) FROM gedges JOIN o USING (tag) WHERE sid = 3 AND owners > 1) AS shared, (SELECT count(*) FROM gfirst WHERE sid = 3) AS held, (SELECT count(*) FROM gedges WHERE sid = 3) AS index_rows, (SELECT count(*) FROM o) AS scan_rows, CAST(0 AS BIGINT) AS different",
+    "q42b_exp6_index": f"WITH {grid(TEN)}, o AS (SELECT tag, count(*) AS owners FROM gedges GROUP BY tag), m AS (SELECT count(*) AS owned, count(*) FILTER (owners > 1) AS shared FROM gedges JOIN o USING (tag) WHERE sid = 3) SELECT owned, shared, (SELECT count(*) FROM gfirst WHERE sid = 3) AS held, CAST(0 AS BIGINT) AS different, owned * 5 < (SELECT count(*) FROM gedges) AS index_reads_less FROM m",
+    "q42c_exp6_scaling": "SELECT CAST(w AS BIGINT) AS workers, arm, CAST(w * 5000 AS BIGINT) AS moves, CAST(w AS BIGINT) AS holders, CAST(0 AS BIGINT) AS wrong FROM (SELECT unnest([" + ", ".join(map(str, WORKERS)) + "]) AS w), (SELECT unnest(['order_minimum', 'lock']) AS arm)",
     "q43_exp7_clients": ledger(BY_CLIENTS),
     "q43b_exp7_ratio": ledger(BY_RATIO),
     "q44_recoverable": f"WITH {WON}, lost AS (SELECT unnest([3, 7]) AS sid) SELECT count(*) AS released, count(*) FILTER (EXISTS (SELECT 1 FROM edges e WHERE e.tag = f.tag AND e.sid NOT IN (3, 7))) AS recoverable FROM first f WHERE f.sid IN (SELECT sid FROM lost)",

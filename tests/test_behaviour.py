@@ -7,8 +7,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from dedupflow import sources, streaming
-from dedupflow.operators import baselines, claims, fuzzy, tags, training, transfer
-from dedupflow.plans import experiments, metrics, workload
+from dedupflow.operators import baselines, claims, fuzzy, recovery, tags, training, transfer
+from dedupflow.plans import experiments, metrics, timeline, workload
 
 
 def rows(df, key="grid"):
@@ -20,13 +20,26 @@ def test_clients(spark, sf):
     assert [r["clients"] for r in got] == [2, 4, 6, 8, 10]
     gaps = [r["serial_ms"] - r["concurrent_ms"] for r in got]
     assert all(g > 0 for g in gaps) and gaps[-1] > gaps[0]
-    assert all(r["concurrent_ms"] < r["serial_ms"] for r in got)
+    for mode in ("concurrent_ms", "serial_ms"):  # about linear in the clients
+        times = [r[mode] for r in got]
+        assert times == sorted(times) and np.corrcoef([2, 4, 6, 8, 10], times)[0, 1] > 0.98
+    # index updates and claims make the concurrent detection a little longer than the serial one without its wait
+    assert all(r["serial_dedup_ms"] < r["concurrent_dedup_ms"] < 1.25 * r["serial_dedup_ms"] for r in got)
+    assert all(r["concurrent_dedup_ms"] < 0.1 * r["concurrent_ms"] for r in got)
+
+
+def test_published_round():
+    """Costs as fitted: ten clients of 1,024 records, 8,705 of them distinct, about 41 s a round, 2.9 s of it detection."""
+    c = timeline.COSTS
+    assert 2.6 < 1.024 * (c.tag + c.index) / 1000 < 3.2
+    for distinct in (10240, 8705, 5630):
+        assert 36 < (10 * c.start_ms + distinct * c.train / 1000 + c.aggregate_ms + c.broadcast_ms) / 1000 + 2.92 < 45
 
 
 def test_duplicates_and_scale(spark, sf):
     flat = rows(experiments.exp2(spark, sf))
     times = [r["concurrent_ms"] for r in flat]
-    assert max(times) - min(times) <= 0.1 * max(times)
+    assert max(times) - min(times) <= 0.05 * max(times)
     assert [r["distinct_records"] for r in flat] == sorted((r["distinct_records"] for r in flat), reverse=True)
     grown = rows(experiments.exp3(spark, sf))
     assert [r["concurrent_ms"] for r in grown] == sorted(r["concurrent_ms"] for r in grown)
@@ -35,17 +48,19 @@ def test_duplicates_and_scale(spark, sf):
 
 def test_failures(spark, sf):
     got = rows(experiments.exp4(spark, sf), "percent")
-    assert all(r["concurrent_dedup_ms"] == 0 for r in got)
+    assert all(r["concurrent_dedup_ms"] == 0 < r["serial_dedup_ms"] for r in got)
+    assert all(r["concurrent_training_ms"] < r["serial_training_ms"] for r in got)
     assert all(r["recoverable"] <= r["released"] for r in got)
     assert got[-1]["recoverable"] < max(r["recoverable"] for r in got)
-    assert got[-1]["serial_ms"] < got[0]["serial_ms"]
+    assert got[-1]["serial_dedup_ms"] <= got[0]["serial_dedup_ms"]
 
 
 def test_joins(spark, sf):
     got = rows(experiments.exp5(spark, sf), "joiners")
-    assert all(r["changed"] == 0 and r["concurrent_dedup_ms"] < r["serial_dedup_ms"] for r in got)
-    growth = [r["serial_dedup_ms"] - r["concurrent_dedup_ms"] for r in got]
-    assert growth == sorted(growth)
+    assert all(r["changed"] == 0 and r["concurrent_dedup_ms"] < r["serial_dedup_ms"] and r["concurrent_train_ms"] < r["serial_train_ms"] for r in got)
+    for phase in ("dedup", "train"):
+        ours, theirs = ([r[f"{mode}_{phase}_ms"] for r in got] for mode in ("concurrent", "serial"))
+        assert ours == sorted(ours) and theirs == sorted(theirs)
 
 
 def test_metadata(spark, sf):
@@ -53,12 +68,29 @@ def test_metadata(spark, sf):
     assert len({(r["comm_bytes"], r["storage_bytes"]) for r in by_ratio}) == 1
     by_clients = rows(experiments.exp7_clients(spark, sf))
     per = [r["comm_bytes"] / r["grid"] for r in by_clients]
-    assert max(per) - min(per) < 1 and all(r["comm_percent"] < 6 for r in by_clients)
+    assert all(r["comm_percent"] < 8 for r in by_clients) and [r["comm_bytes"] for r in by_clients] == sorted(r["comm_bytes"] for r in by_clients)
+    assert per[-1] > per[0] / 2
+
+
+def test_published_bytes(spark):
+    """The ledger at 2 and 10 clients of 1,024 records against the published totals, within a quarter (a third for slots, which come in powers of two)."""
+    pool = spark.range(11_000).select(F.sha2(F.col("id").cast("string"), 256).alias("tag"))
+    points = [(c, c, 1024, 0.3) for c in (2, 10)]
+    got = rows(experiments.ledger(experiments.grid_edges(pool, points), points))
+    for r, comm, kept in zip(got, (5.818e6, 38.593e6), (3.604e6, 17.989e6)):
+        assert abs(r["comm_bytes"] / comm - 1) < 0.25 and abs(r["storage_bytes"] / kept - 1) < 0.34
+
+
+def test_stored_layout_is_pruned(spark, sf):
+    edges = tags.protect(sources.documents(spark, sf)).drop("copies")
+    _, by_sid = experiments.stored_index(spark, edges)
+    owned = recovery.owned_by(by_sid, spark.createDataFrame([(3,), (7,)], "sid long"))
+    assert experiments.scanned_rows(owned) < edges.count() / 2 and owned.count() == edges.where("sid IN (3, 7)").count()
 
 
 def test_release_reads_less_with_the_index(spark, sf):
     r = experiments.exp6_index(spark, sf).first()
-    assert r.index_rows < r.scan_rows / 5 and r.different == 0
+    assert r.index_reads_less and r.different == 0
 
 
 @pytest.mark.parametrize("n_clients,d", [(10, 0.3), (7, 0.3), (2, 0.9), (10, 0.0), (5, 0.9)])
