@@ -146,10 +146,42 @@ def consistent(item: list[str], doc: list[str], slots: np.ndarray) -> bool:
     return True
 
 
+def _stretches(run: list[int], w: int, words: list[str], shift: int, item: tuple) -> int:
+    """Windows of a run that contradicts itself which lie in consistent stretches of twice ``w`` words or more.
+
+    A run is cut where a slot value contradicts those before it; shorter stretches are taken for chance.
+    """
+    theirs, theirs_h = item
+    slots = np.isin(theirs_h, _SLOT_HASHES)
+    total, first, at = 0, 0, 1
+    while first < len(run):
+        there, back, upto = {}, {}, run[first]
+        for at in range(first, len(run) + 1):
+            if at == len(run):
+                break
+            clash = False
+            for p in range(max(upto, run[at]), run[at] + w):
+                if slots[p - shift]:
+                    a, b = _bare(theirs[p - shift]), _bare(words[p])
+                    if there.setdefault(a, b) != b or back.setdefault(b, a) != a:
+                        clash = True
+                        break
+            if clash:
+                break
+            upto = run[at] + w
+        if at > first and upto - run[first] >= 2 * w:
+            total += at - first
+        # the next stretch begins past the value that clashed
+        past = p + 1 if at < len(run) else run[-1] + 1
+        first = next((i for i in range(max(at, first + 1), len(run)) if run[i] >= past), len(run)) if at < len(run) else len(run)
+    return total
+
+
 def _judged(spots: list[int], w: int, words: list[str], shift: int, item: tuple, typed: dict[int, bool] | None) -> int:
     """Windows of one alignment in consistent runs; windows that touch each other are judged together.
 
-    Where a run of all forms is not consistent, its template windows are judged on their own.
+    Where a run of all forms is not consistent, its template windows are judged on their own, and what is left of long
+    runs that contradict themselves counts in consistent stretches.
     """
     theirs, theirs_h = item
     n = 0
@@ -157,8 +189,10 @@ def _judged(spots: list[int], w: int, words: list[str], shift: int, item: tuple,
         low, high = int(run[0]), int(run[-1]) + w
         if consistent(theirs[low - shift : high - shift], words[low:high], np.isin(theirs_h[low - shift : high - shift], _SLOT_HASHES)):
             n += len(run)
-        elif typed and 0 < len(own := [p for p in run.tolist() if typed[p]]) < len(run):
-            n += _judged(own, w, words, shift, item, None)
+        else:
+            own = [p for p in run.tolist() if typed[p]] if typed else []
+            alone = _judged(own, w, words, shift, item, None) if 0 < len(own) < len(run) else 0
+            n += alone or _stretches(run.tolist(), w, words, shift, item)
     return n
 
 

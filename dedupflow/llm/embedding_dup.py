@@ -28,6 +28,7 @@ BLOCK = 1024
 MOST_TABLES = 4096
 
 
+@lru_cache(maxsize=8)
 def rotation(dim: int, seed: int = 4) -> np.ndarray:
     """A random orthogonal matrix, the same on every executor."""
     q, r = np.linalg.qr(np.random.default_rng(seed).standard_normal((dim, dim)))
@@ -83,7 +84,7 @@ def _tables(bits: int, dim: int, threshold: float, miss: float) -> int:
 
 
 def _distinct(vectors: DataFrame) -> DataFrame:
-    """(vec_id, label, digest, embedding): vectors that may link, as doubles' bytes; others have null digest."""
+    """(vec_id, label, digest, vector, code, factor): vectors that may link, as doubles' bytes, with code and factor; others have null digest."""
 
     def prepare(batches):
         for b in batches:
@@ -93,9 +94,16 @@ def _distinct(vectors: DataFrame) -> DataFrame:
                 ok = len(v) > 0 and bool(np.isfinite(v).all()) and bool(v.any())
                 out.append(v.tobytes() if ok else None)
             digest = [None if x is None else xxhash.xxh3_128_digest(x) for x in out]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(digest, pa.binary()), pa.array(out, pa.binary())], ["vec_id", "label", "digest", "vector"])
+            code, factor = [None] * len(out), [None] * len(out)
+            for size in {len(x) for x in out if x is not None}:
+                at = [i for i, x in enumerate(out) if x is not None and len(x) == size]
+                v = np.frombuffer(b"".join(out[i] for i in at), np.float64).reshape(len(at), size // 8)
+                bits, factors = encode(v / np.linalg.norm(v, axis=1)[:, None], rotation(size // 8))
+                for i, c, f in zip(at, bits, factors):
+                    code[i], factor[i] = c.tobytes(), float(f)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(digest, pa.binary()), pa.array(out, pa.binary()), pa.array(code, pa.binary()), pa.array(factor, pa.float64())], ["vec_id", "label", "digest", "vector", "code", "factor"])
 
-    return vectors.mapInArrow(prepare, "vec_id long, label long, digest binary, vector binary")
+    return vectors.mapInArrow(prepare, "vec_id long, label long, digest binary, vector binary, code binary, factor double")
 
 
 def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float = 6.0, direct: int = 32_768, miss: float = 1e-7) -> DataFrame:
@@ -108,14 +116,10 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     """
     rows = written(_distinct(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast("array<double>").alias("embedding"))), "vectors")
     usable = rows.where(F.col("digest").isNotNull() & F.col("label").isNotNull() & F.col("vec_id").isNotNull())
-    reps = written(usable.groupBy("label", "digest").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("times"), F.first("vector").alias("vector")).withColumn("rep", F.xxhash64("label", "digest")), "distinct-vectors")
+    reps = written(usable.groupBy("label", "digest").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("times"), F.first("vector").alias("vector"), F.first("code").alias("code"), F.first("factor").alias("factor")).withColumn("rep", F.xxhash64("label", "digest")), "distinct-vectors")
     reps = reps.withColumn("dim", (F.octet_length("vector") / 8).cast("int"))
     reps = reps.join(reps.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("peers")), ["label", "dim"])
 
-    def codes(v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        unit = v / np.linalg.norm(v, axis=1)[:, None]
-        return unit, *encode(unit, rotation(v.shape[1]))
-
     def picks(dim: int, bits: int, tables: int) -> np.ndarray:
         rng = np.random.default_rng([dim, bits])
         return np.stack([rng.permutation(dim)[:bits] for _ in range(tables)])
@@ -128,23 +132,23 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
 
     def place(batches):
         for b in batches:
-            dims, peers, blob = b.column(4).to_pylist(), b.column(5).to_pylist(), b.column(3).to_pylist()
+            dims, peers, packed = b.column(6).to_pylist(), b.column(7).to_pylist(), b.column(4).to_pylist()
             keys = [(d, bucket_plan(n, d, threshold, direct, miss)) for d, n in zip(dims, peers)]
             for key in sorted(set(keys)):
                 at = [i for i, k in enumerate(keys) if k == key]
-                _, code, _ = codes(np.frombuffer(b"".join(blob[i] for i in at), np.float64).reshape(len(at), key[0]))
+                code = np.frombuffer(b"".join(packed[i] for i in at), np.uint8).reshape(len(at), -1)
                 own, rows = buckets(code, *key), b.take(pa.array(at))
                 for t in range(own.shape[1]):
-                    yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(own[:, t].view(np.int64)), pa.array([t] * len(at), pa.int32())], ["rep", "label", "times", "vector", "dim", "peers", "bucket", "tab"])
+                    yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(own[:, t].view(np.int64)), pa.array([t] * len(at), pa.int32())], ["rep", "label", "times", "vector", "code", "factor", "dim", "peers", "bucket", "tab"])
 
-    placed = reps.select("rep", "label", "times", "vector", "dim", "peers").mapInArrow(place, "rep long, label long, times long, vector binary, dim int, peers long, bucket long, tab int")
+    placed = reps.select("rep", "label", "times", "vector", "code", "factor", "dim", "peers").mapInArrow(place, "rep long, label long, times long, vector binary, code binary, factor double, dim int, peers long, bucket long, tab int")
     placed = placed.withColumn("bucket", F.xxhash64("label", "bucket", "dim"))
     many = written(placed.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "blocks"), "buckets")
     # block i of a bucket meets blocks i, i+1, ...: a row goes to every pair of blocks that its own is part of
     own = F.pmod(F.xxhash64(F.lit(7), "rep"), F.col("blocks")).cast("int")
     split = placed.join(many, "bucket").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    split = split.select("bucket", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), (F.col("own") > F.col("other")).alias("second"), "rep", "times", "vector", "peers", "tab")
-    meet = split.groupBy("bucket", "a", "b").applyInArrow(_meet(threshold, confidence, lambda n, dim: bucket_plan(n, dim, threshold, direct, miss), codes, buckets), "u long, v long, n long")
+    split = split.select("bucket", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), (F.col("own") > F.col("other")).alias("second"), "rep", "times", "vector", "code", "factor", "peers", "tab")
+    meet = split.groupBy("bucket", "a", "b").applyInArrow(_meet(threshold, confidence, lambda n, dim: bucket_plan(n, dim, threshold, direct, miss), buckets), "u long, v long, n long")
     found = written(meet, "meetings")
     counts = found.where(F.col("v").isNull()).groupBy(F.col("u").alias("rep")).agg(F.sum("n").alias("links"))
     comps = components(found.where(F.col("v").isNotNull()).select("u", "v"))
@@ -157,7 +161,7 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
-def _meet(threshold, confidence, plan_of, codes, buckets):
+def _meet(threshold, confidence, plan_of, buckets):
     """Per pair of blocks: links counted per row (v null), and links that connect the components (u, v)."""
 
     def meet(table: pa.Table) -> pa.Table:
@@ -166,7 +170,9 @@ def _meet(threshold, confidence, plan_of, codes, buckets):
         blob = table.column("vector").to_pylist()
         dim, peers, tab = len(blob[0]) // 8, table.column("peers")[0].as_py(), table.column("tab")[0].as_py()
         v = np.frombuffer(b"".join(blob), np.float64).reshape(len(rep), dim)
-        unit, code, factor = codes(v)
+        unit = v / np.linalg.norm(v, axis=1)[:, None]
+        code = np.frombuffer(b"".join(table.column("code").to_pylist()), np.uint8).reshape(len(rep), -1)
+        factor = table.column("factor").to_numpy()
         same = table.column("a")[0].as_py() == table.column("b")[0].as_py()
         second = table.column("second").to_numpy(zero_copy_only=False).astype(bool)
         # in a pair of different blocks every row of one meets every row of the other

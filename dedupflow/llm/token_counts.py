@@ -60,11 +60,6 @@ class PrefixCounter:
         k = int(np.searchsorted(upto, budget, "right"))
         return int(ends[k - 1]) if k else 0
 
-    def total(self, text: str) -> int:
-        if _ODD.search(text):
-            return self.whole(text)
-        return int(self.word_counts(text.split()).sum())
-
 
 @lru_cache(maxsize=4)
 def counter(path: str) -> PrefixCounter:
@@ -72,7 +67,7 @@ def counter(path: str) -> PrefixCounter:
 
 
 def token_counts(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row: id, bytes, tokens, whether over ``limit``.
+    """Per row: id, bytes, tokens, whether over ``limit``, from the last entry of the text's prefix table.
 
     A null text counts as empty: 0 bytes, 0 tokens. Repeated rows each give a row; other columns are not read. One
     pass, no shuffle; memory is one Arrow batch and a bounded memo of words.
@@ -82,7 +77,7 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: st
         own = counter(vocabulary)
         for b in sliced(batches):
             texts = [t or "" for t in b.column(1).to_pylist()]
-            n = [own.total(t) for t in texts]
+            n = [int(upto[-1]) if len(upto) else 0 for _, upto in map(own.table, texts)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(count, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")

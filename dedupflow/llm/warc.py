@@ -86,14 +86,17 @@ def write(pages: DataFrame, folder: str, min_bytes: int = 0, date: str = "2024-0
     return written(joined.mapInArrow(archive, INDEX), "warc-index")
 
 
-def read(index: DataFrame, gap: int = 1 << 16, most: int = 8 << 20) -> DataFrame:
+def read(index: DataFrame, gap: int = 1 << 16, most: int = 8 << 20, task_bytes: int = 64 << 20) -> DataFrame:
     """Reads the records that ``index`` selects (any subset of its rows).
 
-    Selected records are sorted by file and offset; ranges closer than ``gap`` bytes are read at once, ``most`` bytes at
+    The records are dealt in order of file and offset to as many tasks as their bytes need at ``task_bytes`` each, and at
+    least one per core, so that a task reads runs of few files. Within it ranges closer than ``gap`` bytes are read at once, ``most`` bytes at
     most together (a longer record alone). Gives what the archives say: page_id, url, payload, digest recomputed where
     there is a payload, type and reference. A record whose payload does not have its digest raises an error.
     """
-    wanted = index.select("file", "offset", "length").repartition(F.col("file")).sortWithinPartitions("file", "offset")
+    total = index.agg(F.sum("length")).first()[0] or 0
+    tasks = max(-(-total // task_bytes), index.sparkSession.sparkContext.defaultParallelism)
+    wanted = index.select("file", "offset", "length").repartitionByRange(int(tasks), "file", "offset").sortWithinPartitions("file", "offset")
 
     def fetch(batches):
         for b in batches:

@@ -375,6 +375,15 @@ def test_substring_ids_with_several_texts(spark):
     assert rows_of(kept, "doc_id", "text", "_spots") == sorted([(1, a, "_spots"), (2, "", "_spots"), (2, "", "_spots"), (2, b, "_spots"), (3, "x ", "_spots"), (4, None, "_spots"), (None, a, "_spots")], key=repr)
 
 
+def test_decontamination_keeps_what_is_consistent_around_a_conflict(spark):
+    item = "If Anna walks 12 km in 3 hours then how far does Anna walk in 9 hours when the road stays flat and the weather is fine and nothing else slows her down on the way home before 5"
+    changed = item.replace("Anna walks", "Boris walks").replace("does Anna", "does Boris").replace("12 km", "14 km").replace("before 5", "before 14")
+    table = decontaminate.item_windows([(1, item)], 10, 5, 6)
+    count = lambda text: decontaminate.matches(text, table, decontaminate.WordForms()).get(0, 0)
+    whole = count(changed.replace("before 14", "before 7"))
+    assert 10 < count(changed) <= whole <= count(item)
+
+
 # ---------------------------------------------------------------- 6 and 7
 
 
