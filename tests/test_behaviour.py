@@ -174,7 +174,7 @@ def test_plans(spark, sf):
     e = tags.protect(sources.documents(spark, sf)).drop("copies")
     work = metrics.plan_work(claims.winners(claims.requests_of(e)))
     assert work["sorts"] == 0 and work["python"] == 0 and work["cartesian"] == 0 and work["hash_aggregates"] >= 2
-    assert experiments.exp6_scale(spark, 4, 1000).where("state = 1").count() == 4000
+    assert experiments.exp6_scale(spark, 4, 1000).where("holder = item_id div 1000").count() == 4000
 
 
 def test_session_stream_finds_the_losses_of_the_batch(spark, sf):
