@@ -256,7 +256,8 @@ def _by_windows(cuts: DataFrame, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array([h] * n, pa.int64()), pa.array(own.view(np.int64)), pa.array([doc] * n, pa.int64()), pa.array(np.arange(low, low + n))], ["h", "name", "doc", "low"])
 
     windows = written(cuts.select("h", "doc", "low", "words").mapInArrow(explode, "h long, name long, doc long, low long"), "windows")
-    first = windows.groupBy("h", "name").agg(F.min(F.struct("doc", "low")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h", "name", "first")
+    # written, so that the join deals both sides anew and can split a window that very many contexts share
+    first = written(windows.groupBy("h", "name").agg(F.min(F.struct("doc", "low")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h", "name", "first"), "first-windows")
     again = windows.join(first, ["h", "name"]).where(F.struct("doc", "low") > F.col("first"))
     return again.select("doc", "low", F.col("low").alias("high"))
 
