@@ -171,7 +171,8 @@ def _candidates(reps: DataFrame, similarity: float) -> DataFrame:
     for level in range(1, len(BRANCH) + 1):
         leaf = LAST_LEAF if level == len(BRANCH) else LEAF
         nodes = written(_nodes(base, level), "nodes")
-        sizes = nodes.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+        # written, so that the join deals both sides anew and can split a node that very many classes share
+        sizes = written(nodes.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1"), "sizes")
         sized = written(nodes.join(sizes, "node"), "sized")
         discard(nodes)
         small = sized.where(F.col("size") <= leaf).join(reps.select("rep", "n", "short"), "rep").select("node", "rep", "n", "short")
@@ -183,7 +184,7 @@ def _candidates(reps: DataFrame, similarity: float) -> DataFrame:
         base = reps.select("rep", "sig").join(large.groupBy("rep").agg(F.collect_list("node").alias("up")), "rep")
     else:
         # what still shares a node of the last level in such numbers is joined as one group; full sets decide within it
-        star = large.groupBy("node").agg(F.min("rep").alias("u"))
+        star = written(large.groupBy("node").agg(F.min("rep").alias("u")), "stars")
         out.append(written(large.join(star, "node").where("rep != u").select("u", F.col("rep").alias("v")), "candidates"))
     edges = out[0]
     for e in out[1:]:
