@@ -24,6 +24,8 @@ from .common import discard, mixed, sliced, small_side, window_hashes, word_hash
 GRAM = 8
 #: Contexts of one anchor that one automaton takes.
 SHARD = 4096
+#: A context of more than HOT_ROWS occurrences that holds over one in HOT_SHARE of all is hot; so there are fewer than HOT_SHARE.
+HOT_ROWS, HOT_SHARE = 10_000, 1000
 #: Places are packed: the number of the text among those of its id above PLACE bits, the word's place below.
 PLACE = 36
 _PLACE = (1 << PLACE) - 1
@@ -262,6 +264,17 @@ def _by_windows(cuts: DataFrame, width: int) -> DataFrame:
     return again.select("doc", "low", F.col("low").alias("high"))
 
 
+def _later(shared: DataFrame, first: DataFrame) -> DataFrame:
+    """(doc, pos) of the occurrences of every context (h, ctx, first, n) but its first. Hot contexts, bounded in number, are sent to the rows instead."""
+    limit, key, wanted = max(HOT_ROWS, shared.count() // HOT_SHARE), ["h", "ctx"], F.struct("doc", "pos") > F.col("first")
+    hot = written(first.where(F.col("n") > limit).select("h", "ctx", "first"), "hot-contexts")
+    if not hot.limit(1).count():
+        return shared.join(first.select("h", "ctx", "first"), key).where(wanted).select("doc", "pos")
+    sent = F.broadcast(hot)
+    others = shared.join(sent, key, "left_anti").join(first.where(F.col("n") <= limit).select("h", "ctx", "first"), key)
+    return others.where(wanted).select("doc", "pos").union(shared.join(sent, key).where(wanted).select("doc", "pos"))
+
+
 def repeated(docs: DataFrame, width: int = 20) -> DataFrame:
     """(doc, pos, low, high) of rows (doc_id, text, sub): anchors all of whose windows are repeated (pos), or runs of repeated window starts (low to high)."""
     anchors = written(_anchors(docs.where(F.col("doc_id").isNotNull()), width), "anchors")
@@ -269,10 +282,10 @@ def repeated(docs: DataFrame, width: int = 20) -> DataFrame:
     twice = written(anchors.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"), "repeated-anchors")
     shared = written(anchors.join(twice, "h"), "shared-anchors")
     discard(anchors)
-    first = written(shared.groupBy("h", "ctx").agg(F.min(F.struct("doc", "pos")).alias("first")), "contexts")
-    whole = shared.join(first, ["h", "ctx"]).where(F.struct("doc", "pos") > F.col("first")).select("doc", "pos", F.lit(None).cast("long").alias("low"), F.lit(None).cast("long").alias("high"))
+    first = written(shared.groupBy("h", "ctx").agg(F.min(F.struct("doc", "pos")).alias("first"), F.count(F.lit(1)).alias("n")), "contexts")
+    whole = _later(shared, first).select("doc", "pos", F.lit(None).cast("long").alias("low"), F.lit(None).cast("long").alias("high"))
     several = written(first.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h", (F.col("n") > SHARD).alias("many")), "shards")
-    firsts = first.join(several, "h").select("h", F.col("first.doc").alias("doc"), F.col("first.pos").alias("pos"), "many")
+    firsts = first.drop("n").join(several, "h").select("h", F.col("first.doc").alias("doc"), F.col("first.pos").alias("pos"), "many")
     cuts = written(_texts_of(docs, firsts, width), "context-words")
     runs = _by_automata(cuts.where("NOT many"), width).unionByName(_by_windows(cuts.where("many"), width))
     return written(whole.unionByName(runs.withColumn("pos", F.lit(None).cast("long"))), "repeated")

@@ -332,9 +332,10 @@ def passages(seed=2):
     return docs
 
 
-@pytest.mark.parametrize("shard", [4096, 1])
-def test_removal_equals_brute_force(spark, monkeypatch, shard):
+@pytest.mark.parametrize("shard, hot", [(4096, 10_000), (1, 10_000), (4096, 1), (1, 1)])
+def test_removal_equals_brute_force(spark, monkeypatch, shard, hot):
     monkeypatch.setattr(substring_dup, "SHARD", shard)
+    monkeypatch.setattr(substring_dup, "HOT_ROWS", hot)
     docs = passages()
     got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring_dup.removal(clash(frame(spark, list(docs.items()))), 20).collect()}
     assert got == brute_removal(docs, 20)
