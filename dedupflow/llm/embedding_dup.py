@@ -5,8 +5,9 @@ the factor <c, o>. For a unit query q the quotient <c, q> / <c, o> estimates <o,
 most ``confidence`` * sqrt((1 - f^2) / f^2) * sqrt(1 - <o, q>^2) / sqrt(dim - 1) but for a share of cases that shrinks as a Gaussian tail. Pairs
 whose upper bound stays below the threshold are dropped; all others are recomputed from the vectors in double precision.
 
-Rows meet in blocks: within a label, and for labels of more than ``direct`` vectors within buckets of code bits over
-several tables, as many as the recall asks for. A pair that shares several buckets counts in the first alone.
+Rows meet in blocks: within a label, and where that compares fewer pairs within buckets of code bits over several
+tables, as many as the recall asks for. A pair that shares several buckets counts in the first alone. Blocks are large
+and meet in rounds, so that a row's copies on disk do not grow with its label.
 """
 
 from __future__ import annotations
@@ -20,10 +21,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mixed, written
+from .common import mixed, reclaim, scratch, written
 from ..operators.components import components
 
-BLOCK = 1024
+#: Rows and values of a block at most.
+BLOCK, BLOCK_VALUES = 32_768, 1 << 21
+#: Tables of a bucket plan that are compared at a time.
+TABLES_AT_ONCE = 2
 #: Tables of a bucket plan at most.
 MOST_TABLES = 4096
 
@@ -44,9 +48,14 @@ def encode(unit: np.ndarray, rotate: np.ndarray) -> tuple[np.ndarray, np.ndarray
 
 def estimate(codes: np.ndarray, factor: np.ndarray, unit: np.ndarray, rotate: np.ndarray) -> np.ndarray:
     """Unbiased estimates of the inner products of coded vectors (rows) with unit vectors (columns)."""
-    dim = unit.shape[1]
+    return _estimates(codes, factor, (unit @ rotate.T).T.astype(np.float32))
+
+
+def _estimates(codes: np.ndarray, factor: np.ndarray, rotated: np.ndarray) -> np.ndarray:
+    """The same for unit vectors that are rotated already, one per column."""
+    dim = len(rotated)
     corner = np.unpackbits(codes, axis=1, count=dim).astype(np.float32) * 2 - 1
-    return corner @ (unit @ rotate.T).T.astype(np.float32) / (math.sqrt(dim) * factor[:, None].astype(np.float32))
+    return (corner / (math.sqrt(dim) * factor[:, None].astype(np.float32))) @ rotated
 
 
 def least_estimate(threshold: float, factor: np.ndarray, dim: int, confidence: float) -> np.ndarray:
@@ -58,13 +67,16 @@ def least_estimate(threshold: float, factor: np.ndarray, dim: int, confidence: f
 def bucket_plan(n: int, dim: int, threshold: float, direct: int, miss: float) -> tuple[int, int]:
     """(bits, tables) for a label of n vectors: buckets of about ``direct`` rows, and tables enough to miss a share of ``miss`` at most.
 
+    Where the buckets of all tables hold as many pairs as the label, it is one bucket and misses none.
+
     Tables draw their bits from the same code, so the share is taken over the number of bits that a pair at the threshold
     has in common (as of independent bits), not as of independent tables.
     """
     if n <= direct:
         return 0, 1
     bits = min(dim, max(1, math.ceil(math.log2(n / direct))))
-    return bits, _tables(bits, dim, threshold, miss)
+    tables = _tables(bits, dim, threshold, miss)
+    return (bits, tables) if tables < 2**bits else (0, 1)
 
 
 @lru_cache(maxsize=256)
@@ -84,26 +96,31 @@ def _tables(bits: int, dim: int, threshold: float, miss: float) -> int:
 
 
 def _distinct(vectors: DataFrame) -> DataFrame:
-    """(vec_id, label, digest, vector, code, factor): vectors that may link, as doubles' bytes, with code and factor; others have null digest."""
+    """(vec_id, label, digest, vector, code, factor, dim): vectors that may link, as the bytes of their values, with code and factor; others have null digest."""
 
     def prepare(batches):
         for b in batches:
-            out = []
-            for values in b.column(2).to_pylist():
-                v = np.array([math.nan if x is None else x for x in values or []], np.float64)
-                ok = len(v) > 0 and bool(np.isfinite(v).all()) and bool(v.any())
-                out.append(v.tobytes() if ok else None)
-            digest = [None if x is None else xxhash.xxh3_128_digest(x) for x in out]
-            code, factor = [None] * len(out), [None] * len(out)
-            for size in {len(x) for x in out if x is not None}:
-                at = [i for i, x in enumerate(out) if x is not None and len(x) == size]
-                v = np.frombuffer(b"".join(out[i] for i in at), np.float64).reshape(len(at), size // 8)
-                bits, factors = encode(v / np.linalg.norm(v, axis=1)[:, None], rotation(size // 8))
-                for i, c, f in zip(at, bits, factors):
-                    code[i], factor[i] = c.tobytes(), float(f)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(digest, pa.binary()), pa.array(out, pa.binary()), pa.array(code, pa.binary()), pa.array(factor, pa.float64())], ["vec_id", "label", "digest", "vector", "code", "factor"])
-
-    return vectors.mapInArrow(prepare, "vec_id long, label long, digest binary, vector binary, code binary, factor double")
+            column = b.column(2)
+            start, end = np.asarray(column.offsets[:-1]), np.asarray(column.offsets[1:])
+            values = column.values.to_numpy(zero_copy_only=False)  # nulls as NaN
+            length = np.where(column.is_valid().to_numpy(zero_copy_only=False), end - start, 0)
+            digest, vector, code, factor = ([None] * len(length) for _ in range(4))
+            for size in map(int, np.unique(length[length > 0])):
+                at = np.flatnonzero(length == size)
+                v = values[start[at][:, None] + np.arange(size)]
+                ok = np.isfinite(v).all(1) & v.any(1)
+                at, v = at[ok], v[ok]
+                wide = v.astype(np.float64)
+                bits, factors = encode(wide / np.linalg.norm(wide, axis=1)[:, None], rotation(size))
+                for i, x, c, f in zip(at, v, bits, factors):
+                    vector[i], code[i], factor[i] = x.tobytes(), c.tobytes(), float(f)
+                    digest[i] = xxhash.xxh3_128_digest(vector[i])
+            yield pa.RecordBatch.from_arrays(
+                [b.column(0), b.column(1), pa.array(digest, pa.binary()), pa.array(vector, pa.binary()), pa.array(code, pa.binary()), pa.array(factor, pa.float64()), pa.array(length, pa.int32())],
+                ["vec_id", "label", "digest", "vector", "code", "factor", "dim"],
+            )
+
+    return vectors.mapInArrow(prepare, "vec_id long, label long, digest binary, vector binary, code binary, factor double, dim int")
 
 
 def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float = 6.0, direct: int = 32_768, miss: float = 1e-7) -> DataFrame:
@@ -114,42 +131,54 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     different dimension. Equal vectors of a label are compared once and counted as often as they occur. Rows that
     repeat an id count as further vectors. An empty table gives no rows.
     """
-    rows = written(_distinct(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast("array<double>").alias("embedding"))), "vectors")
+    spark = vectors.sparkSession
+    kind = vectors.schema["embedding"].dataType.simpleString()
+    kind, dtype = (kind, np.float32) if kind == "array<float>" else ("array<double>", np.float64)
+    # the vectors are not written beside their distinct ones: ids and digests are read from the input again at the end
+    rows = _distinct(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast(kind).alias("embedding")))
     usable = rows.where(F.col("digest").isNotNull() & F.col("label").isNotNull() & F.col("vec_id").isNotNull())
-    reps = written(usable.groupBy("label", "digest").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("times"), F.first("vector").alias("vector"), F.first("code").alias("code"), F.first("factor").alias("factor")).withColumn("rep", F.xxhash64("label", "digest")), "distinct-vectors")
-    reps = reps.withColumn("dim", (F.octet_length("vector") / 8).cast("int"))
-    reps = reps.join(reps.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("peers")), ["label", "dim"])
-
-    def picks(dim: int, bits: int, tables: int) -> np.ndarray:
-        rng = np.random.default_rng([dim, bits])
-        return np.stack([rng.permutation(dim)[:bits] for _ in range(tables)])
-
-    def buckets(code: np.ndarray, dim: int, plan: tuple[int, int]) -> np.ndarray:
-        """(rows, tables): hashed bucket of each row in each table."""
-        bits = np.unpackbits(code, axis=1, count=dim).astype(np.uint64)
-        out = [(bits[:, p] << np.arange(len(p), dtype=np.uint64)[None, :]).sum(1) if len(p) else np.zeros(len(bits), np.uint64) for p in picks(dim, *plan)]
-        return np.stack([mixed(o + np.uint64((t + 1) << 40)) for t, o in enumerate(out)], 1)
-
-    def place(batches):
-        for b in batches:
-            dims, peers, packed = b.column(6).to_pylist(), b.column(7).to_pylist(), b.column(4).to_pylist()
-            keys = [(d, bucket_plan(n, d, threshold, direct, miss)) for d, n in zip(dims, peers)]
-            for key in sorted(set(keys)):
-                at = [i for i, k in enumerate(keys) if k == key]
-                code = np.frombuffer(b"".join(packed[i] for i in at), np.uint8).reshape(len(at), -1)
-                own, rows = buckets(code, *key), b.take(pa.array(at))
-                for t in range(own.shape[1]):
-                    yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(own[:, t].view(np.int64)), pa.array([t] * len(at), pa.int32())], ["rep", "label", "times", "vector", "code", "factor", "dim", "peers", "bucket", "tab"])
-
-    placed = reps.select("rep", "label", "times", "vector", "code", "factor", "dim", "peers").mapInArrow(place, "rep long, label long, times long, vector binary, code binary, factor double, dim int, peers long, bucket long, tab int")
-    placed = placed.withColumn("bucket", F.xxhash64("label", "bucket", "dim"))
-    many = written(placed.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "blocks"), "buckets")
-    # block i of a bucket meets blocks i, i+1, ...: a row goes to every pair of blocks that its own is part of
-    own = F.pmod(F.xxhash64(F.lit(7), "rep"), F.col("blocks")).cast("int")
-    split = placed.join(many, "bucket").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    split = split.select("bucket", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), (F.col("own") > F.col("other")).alias("second"), "rep", "times", "vector", "code", "factor", "peers", "tab")
-    meet = split.groupBy("bucket", "a", "b").applyInArrow(_meet(threshold, confidence, lambda n, dim: bucket_plan(n, dim, threshold, direct, miss), buckets), "u long, v long, n long")
-    found = written(meet, "meetings")
+    once = usable.groupBy("label", "digest").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("times"), *[F.first(c).alias(c) for c in ("vector", "code", "factor", "dim")])
+    reps = written(once.withColumn("rep", F.xxhash64("label", "digest")), "distinct-vectors")
+    reclaim(spark)
+    sized = reps.join(reps.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("peers")), ["label", "dim"])
+    plan_of = lambda n, dim: bucket_plan(n, dim, threshold, direct, miss)
+    sizes = reps.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("peers")).groupBy("dim").agg(F.max("peers").alias("peers")).collect()  # a row per dimension
+    tables = max((plan_of(r.peers, r.dim)[1] for r in sizes), default=1)
+
+    def placed(first: int, *columns: str) -> DataFrame:
+        """Rows with their buckets in tables from ``first`` on, TABLES_AT_ONCE at most."""
+
+        def place(batches):
+            for b in batches:
+                dims, peers, packed = b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3).to_pylist()
+                keys = [(d, plan_of(n, d)) for d, n in zip(dims, peers)]
+                for key in sorted(set(keys)):
+                    at = [i for i, k in enumerate(keys) if k == key]
+                    tabs = range(first, min(first + TABLES_AT_ONCE, key[1][1]))
+                    if not len(tabs):
+                        continue
+                    own = buckets(np.frombuffer(b"".join(packed[i] for i in at), np.uint8).reshape(len(at), -1), key[0], key[1], tabs)
+                    for i, t in enumerate(tabs):
+                        yield pa.RecordBatch.from_arrays([*b.take(pa.array(at)).columns, pa.array(own[:, i].view(np.int64)), pa.array([t] * len(at), pa.int32())], [*b.schema.names, "bucket", "tab"])
+
+        taken = sized.select("label", "dim", "peers", "code", *columns)
+        out = taken.mapInArrow(place, ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in taken.schema), "bucket long", "tab int"]))
+        return out.withColumn("bucket", F.xxhash64("label", "bucket", "dim"))
+
+    where, kinds = scratch(spark, "meetings"), "u long, v long, n long"
+    rows_of_block = F.least(F.lit(BLOCK), F.greatest(F.lit(256), F.floor(F.lit(BLOCK_VALUES) / F.col("dim"))))
+    spark.createDataFrame([], kinds).write.mode("append").parquet(where)
+    for first in range(0, tables, TABLES_AT_ONCE):
+        sized_buckets = placed(first).groupBy("bucket", "dim").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+        many = written(sized_buckets.select("bucket", F.ceil(F.col("n") / rows_of_block).cast("int").alias("blocks")), "buckets")
+        most = many.agg(F.max("blocks")).first()[0]
+        for steps in _rounds(most or 0):
+            split = placed(first, "rep", "times", "vector", "factor").join(many, "bucket").withColumn("own", F.pmod(F.xxhash64(F.lit(7), "rep"), F.col("blocks")).cast("int"))
+            split = split.withColumn("to", F.explode(_meetings(steps))).select("bucket", "to.step", "to.a", "to.second", "rep", "times", "vector", "code", "factor", "peers", "tab")
+            split.groupBy("bucket", "step", "a").applyInArrow(_meet(threshold, confidence, plan_of, dtype), kinds).write.mode("append").parquet(where)
+            del split
+            reclaim(spark)
+    found = spark.read.schema(kinds).parquet(where)
     counts = found.where(F.col("v").isNull()).groupBy(F.col("u").alias("rep")).agg(F.sum("n").alias("links"))
     comps = components(found.where(F.col("v").isNotNull()).select("u", "v"))
     named = comps.withColumnRenamed("node", "rep").join(reps.select("rep", "least"), "rep")
@@ -161,37 +190,69 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.93, confidence: float
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
-def _meet(threshold, confidence, plan_of, buckets):
+def buckets(code: np.ndarray, dim: int, plan: tuple[int, int], tabs: range) -> np.ndarray:
+    """(rows, tables): hashed bucket of each row in each of the tables ``tabs``."""
+    rng = np.random.default_rng([dim, plan[0]])
+    picks = [rng.permutation(dim)[: plan[0]] for _ in range(tabs.stop)]
+    bits = np.unpackbits(code, axis=1, count=dim).astype(np.uint64)
+    out = [(bits[:, picks[t]] << np.arange(plan[0], dtype=np.uint64)[None, :]).sum(1, dtype=np.uint64) + np.uint64((t + 1) << 40) for t in tabs]
+    return np.stack([mixed(o) for o in out], 1) if out else np.zeros((len(code), 0), np.uint64)
+
+
+def _rounds(most: int) -> list[list[int]]:
+    """Which blocks meet in each round, by the distance between them around the circle of a bucket's blocks: a row has three copies in a round at most."""
+    return [[0, 1], *([d] for d in range(2, most // 2 + 1))] if most > 1 else [[0]] * (most == 1)
+
+
+def _meetings(steps: list[int]):
+    """Groups (step, a, second) that a row of block ``own`` goes to: block a meets itself (step 0) or block a + step, every two blocks once."""
+    own, blocks, to = F.col("own"), F.col("blocks"), []
+    for d in steps:
+        group = lambda a, second: F.struct(F.lit(d).alias("step"), a.cast("int").alias("a"), F.lit(second).alias("second"))  # noqa: E731, B023
+        if not d:
+            to.append(group(own, False))
+            continue
+        to.append(F.when((blocks > 2 * d) | ((blocks == 2 * d) & (own < d)), group(own, False)))
+        to.append(F.when((blocks > 2 * d) | ((blocks == 2 * d) & (own >= d)), group(F.pmod(own - d, blocks), True)))
+    return F.array_compact(F.array(*to))
+
+
+def _matrix(column, dtype, rows: int) -> np.ndarray:
+    """The rows' bytes, all of one length, as a matrix."""
+    return np.frombuffer(b"".join(column.to_pylist()), dtype).reshape(rows, -1)
+
+
+def _meet(threshold, confidence, plan_of, dtype):
     """Per pair of blocks: links counted per row (v null), and links that connect the components (u, v)."""
 
     def meet(table: pa.Table) -> pa.Table:
         rep = table.column("rep").to_numpy()
         times = table.column("times").to_numpy()
-        blob = table.column("vector").to_pylist()
-        dim, peers, tab = len(blob[0]) // 8, table.column("peers")[0].as_py(), table.column("tab")[0].as_py()
-        v = np.frombuffer(b"".join(blob), np.float64).reshape(len(rep), dim)
-        unit = v / np.linalg.norm(v, axis=1)[:, None]
-        code = np.frombuffer(b"".join(table.column("code").to_pylist()), np.uint8).reshape(len(rep), -1)
+        peers, tab = table.column("peers")[0].as_py(), table.column("tab")[0].as_py()
+        v = _matrix(table.column("vector"), dtype, len(rep)).astype(np.float64)
+        dim, norm = v.shape[1], np.linalg.norm(v, axis=1)
+        code = _matrix(table.column("code"), np.uint8, len(rep))
         factor = table.column("factor").to_numpy()
-        same = table.column("a")[0].as_py() == table.column("b")[0].as_py()
-        second = table.column("second").to_numpy(zero_copy_only=False).astype(bool)
+        same = table.column("step")[0].as_py() == 0
+        second = table.column("second").to_numpy().astype(bool)
         # in a pair of different blocks every row of one meets every row of the other
         left, right = (np.arange(len(rep)),) * 2 if same else (np.flatnonzero(~second), np.flatnonzero(second))
-        earlier = buckets(code, dim, plan_of(peers, dim))[:, :tab] if tab else None
-        least, rotate = least_estimate(threshold, factor, dim, confidence), rotation(dim)
+        earlier = buckets(code, dim, plan_of(peers, dim), range(tab)) if tab else None
+        least = least_estimate(threshold, factor, dim, confidence).astype(np.float32)
+        rotated = ((v[right] / norm[right][:, None]) @ rotation(dim).T).T.astype(np.float32)
         count, comp = np.zeros(len(rep), np.int64), np.arange(len(rep))
         u, w = [], []
-        for i in range(0, len(left), 256):
-            rows = left[i : i + 256]
-            close = estimate(code[rows], factor[rows], unit[right], rotate) >= least[rows][:, None]
-            x, y = np.nonzero(close)
-            x, y = rows[x], right[y]
+        chunk = max(16, (1 << 20) // max(len(right), 1))
+        for i in range(0, len(left), chunk):
+            rows = left[i : i + chunk]
+            begin = i if same else 0  # of a block with itself only the later rows
+            x, y = np.nonzero(_estimates(code[rows], factor[rows], rotated[:, begin:]) >= least[rows][:, None])
+            x, y = rows[x], right[begin + y]
             if same:
                 x, y = x[x < y], y[x < y]
             for j in range(0, len(x), 50_000):
                 p, q = x[j : j + 50_000], y[j : j + 50_000]
-                exact = np.einsum("ij,ij->i", v[p], v[q]) / (np.linalg.norm(v[p], axis=1) * np.linalg.norm(v[q], axis=1))
-                ok = exact >= threshold
+                ok = np.einsum("ij,ij->i", v[p], v[q]) / (norm[p] * norm[q]) >= threshold
                 p, q = p[ok], q[ok]
                 if earlier is not None:
                     fresh = ~(earlier[p] == earlier[q]).any(1)
