@@ -129,6 +129,20 @@ def test_tree_equals_exact_distinct(spark, sf):
         assert baselines.tag_for(items, psi).select("tag").distinct().count() == len(exact)
 
 
+def test_group_intersections_compute_their_tags_once(spark):
+    ran = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            ran.add(b.num_rows)
+            yield b
+
+    rows_ = [(sid, bytes([tag])) for sid in range(8) for tag in range(sid, 12)]
+    edges = spark.createDataFrame(rows_, "sid long, tag binary").mapInArrow(count, "sid long, tag binary")
+    got = [(r.level, r.pairs, r.common) for r in baselines.group_intersections(edges, 8).orderBy("level").collect()]
+    assert got == [(0, 4, 11 + 9 + 7 + 5), (1, 2, 10 + 6), (2, 1, 8)] and ran.value == len(rows_)
+
+
 def test_committed_weights_give_the_mean_of_committed_vectors(spark, sf):
     v = sources.table(spark, sf, "embeddings").select(F.pmod("vec_id", F.lit(7)).alias("sid"), "embedding", "label")
     local = training.centroid(v)
