@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -62,10 +63,68 @@ def softmax_regression(items: DataFrame, classes: int, dim: int, epochs: int = 2
     return items.groupBy("sid").applyInPandas(fit, "sid long, m long, w array<double>")
 
 
+#: Characters of a client's texts that are counted at a time, and code points whose pairs are counted by position.
+PIECE, NEAR = 1 << 20, 256
+
+
+def _pairs(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(table, rest): pairs of characters within the texts, as counts by position for code points below NEAR, and one number per other pair."""
+    codes = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)
+    within = np.ones(max(len(codes) - 1, 0), bool)
+    within[np.cumsum([len(t) for t in texts])[:-1] - 1] = False  # from the end of a text to the next one
+    left, right = codes[:-1][within].astype(np.int64), codes[1:][within].astype(np.int64)
+    near = (left < NEAR) & (right < NEAR)
+    return np.bincount(left[near] * NEAR + right[near], minlength=NEAR * NEAR), (left << 21 | right)[~near]
+
+
 def bigram_counts(items: DataFrame) -> DataFrame:
-    """(sid, bigram, n): letter bigrams of each client's texts (sid, content): an additive text model."""
-    pairs = items.select("sid", F.explode(F.expr("transform(sequence(1, greatest(length(content) - 1, 1)), i -> substring(content, i, 2))")).alias("bigram"))
-    return pairs.groupBy("sid", "bigram").agg(F.count(F.lit(1)).alias("n"))
+    """(sid, bigram, n): letter bigrams of each client's texts (sid, content): an additive text model.
+
+    A text of one letter counts as that letter, the empty text as the empty bigram. Tasks count before anything is
+    sent. Null contents give none.
+    """
+
+    def count(batches):
+        tables, others, open_, size = {}, {}, {}, {}
+
+        def close(sid):
+            table, rest = _pairs(open_.pop(sid, []))
+            size.pop(sid, None)
+            tables[sid] = tables[sid] + table if sid in tables else table
+            own = others.setdefault(sid, {})
+            for key, n in zip(*(x.tolist() for x in np.unique(rest, return_counts=True))):
+                word = chr(key >> 21) + chr(key & 0x1FFFFF)
+                own[word] = own.get(word, 0) + n
+
+        def counted():
+            for sid in list(open_):
+                close(sid)
+            for sid in {**tables, **others}:
+                at = np.flatnonzero(tables[sid]) if sid in tables else np.zeros(0, np.int64)
+                words = [chr(i // NEAR) + chr(i % NEAR) for i in at.tolist()] + list(others.get(sid, {}))
+                n = [*(tables[sid][at].tolist() if sid in tables else ()), *others.get(sid, {}).values()]
+                yield pa.RecordBatch.from_arrays([pa.array([sid] * len(words), pa.int64()), pa.array(words, pa.string()), pa.array(n, pa.int64())], ["sid", "bigram", "n"])
+            tables.clear(), others.clear()
+
+        for b in batches:
+            for i, sid in enumerate(b.column(0).to_pylist()):
+                text = b.column(1)[i].as_py()
+                if text is None:
+                    continue
+                if len(text) < 2:
+                    own = others.setdefault(sid, {})
+                    own[text] = own.get(text, 0) + 1
+                for at in range(0, len(text) - 1, PIECE):  # pieces overlap by a letter
+                    open_.setdefault(sid, []).append(text[at : at + PIECE + 1])
+                    size[sid] = size.get(sid, 0) + len(open_[sid][-1])
+                    if size[sid] >= PIECE:
+                        close(sid)
+                if len(open_) + len(tables) > 100 or sum(map(len, others.values())) > 500_000:
+                    yield from counted()
+        yield from counted()
+
+    pairs = items.select(F.col("sid").cast("long").alias("sid"), "content").mapInArrow(count, "sid long, bigram string, n long")
+    return pairs.groupBy("sid", "bigram").agg(F.sum("n").alias("n"))
 
 
 def held_out_loss(items: DataFrame, w: list[float], classes: int) -> DataFrame:

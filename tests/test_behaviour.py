@@ -143,6 +143,20 @@ def test_group_intersections_compute_their_tags_once(spark):
     assert got == [(0, 4, 11 + 9 + 7 + 5), (1, 2, 10 + 6), (2, 1, 8)] and ran.value == len(rows_)
 
 
+@pytest.mark.parametrize("piece", [3, 1 << 20])
+def test_bigram_counts(spark, monkeypatch, piece):
+    monkeypatch.setattr(training, "PIECE", piece)
+    texts = [(1, "abab"), (1, "ba"), (1, ""), (1, "x"), (1, None), (2, "żółć żó"), (2, "a\U0001f600b\x00a"), (None, "ab"), *((100 + i, "abc") for i in range(150))]
+    expected = {}
+    for sid, t in texts:
+        for i in range(max(len(t) - 1, 1) if t is not None else 0):
+            expected[sid, t[i : i + 2]] = expected.get((sid, t[i : i + 2]), 0) + 1
+    got = training.bigram_counts(spark.createDataFrame(texts, "sid long, content string").repartition(2))
+    assert {(r.sid, r.bigram): r.n for r in got.collect()} == expected
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan  # no row per letter
+
+
 def test_committed_weights_give_the_mean_of_committed_vectors(spark, sf):
     v = sources.table(spark, sf, "embeddings").select(F.pmod("vec_id", F.lit(7)).alias("sid"), "embedding", "label")
     local = training.centroid(v)
