@@ -19,3 +19,8 @@ def test_query_equals_sql(name, spark, sf, duck):
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
     assert set(catalog.QUERIES) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["q42c_exp6_scaling"])
+def test_query_reads_a_given_table(name, spark, sf):
+    assert any(f.endswith(".parquet") and "testdata" in f for f in catalog.QUERIES[name](spark, sf).inputFiles())
