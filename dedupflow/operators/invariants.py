@@ -49,6 +49,21 @@ def visibility(*frames: DataFrame) -> list[str]:
     return sorted({c for f in frames for c in f.columns if c in PRIVATE})
 
 
+def private_columns(*frames: DataFrame) -> DataFrame:
+    """(private_columns): how many columns the frames of the coordinator show by a private name, or with the content that a row's tag stands for.
+
+    The second is decided on the rows, for plain tags: a text or binary whose hash is the tag of its row.
+    """
+    found = None
+    for f in frames:
+        wide = [c.name for c in f.schema if c.dataType.simpleString() in ("string", "binary")]
+        shows = lambda c: F.coalesce(F.max(F.unhex(F.sha2(F.col(c).cast("binary"), 256)) == F.col("tag")), F.lit(False))
+        names = [F.when(F.lit(c in PRIVATE) | (shows(c) if c in wide and "tag" in f.columns else F.lit(False)), F.lit(c)) for c in f.columns]
+        row = f.agg(F.array_compact(F.array(*names)).alias("names"))
+        found = row if found is None else found.unionAll(row)
+    return found.select(F.explode("names").alias("name")).agg(F.count_distinct("name").alias("private_columns"))
+
+
 def legal_moves(before: DataFrame, after: DataFrame) -> DataFrame:
     """(illegal): changes of state other than free to held, held to done, and held to free with a new epoch."""
     a = before.select("tag", F.col("state").alias("s0"), F.col("epoch").alias("e0"))

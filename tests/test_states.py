@@ -199,3 +199,11 @@ def test_two_layouts_agree(spark):
     assert index.slots(e, 16).where("slot < 0 OR slot > 15").count() == 0
     assert index.capacity(10_240) == 16_384
     spark.sql("DROP DATABASE dedupflow_test CASCADE")
+
+
+def test_private_columns_are_found_by_name_and_by_rows(spark):
+    shown = lambda *frames: invariants.private_columns(*frames).first().private_columns
+    rows = spark.createDataFrame([(1, "a text", "RUN"), (2, "another", "PARK")], "sid long, note string, op string").withColumn("tag", F.unhex(F.sha2("note", 256)))
+    assert shown(rows.drop("note")) == 0 and shown(rows.drop("note").limit(0)) == 0
+    assert shown(rows) == 1 and shown(rows, rows.drop("note")) == 1
+    assert shown(rows.select("sid", "tag", F.lit(1).alias("mask")), rows) == 2
