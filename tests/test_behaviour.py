@@ -230,6 +230,15 @@ def test_fleet_stream(spark):
     assert plan.count() == 50 and 5 < failed < 35 and plan.where("fail_ms < online_ms").count() == 0
 
 
+def test_fleet_of_given_clients_is_that_of_the_data_source(spark):
+    spark.dataSource.register(streaming.FleetSource)
+    options = {"clients": 30, "fail_percent": 40, "seed": 5}
+    made = spark.read.format("fleet").options(**options, joiners=20).load()
+    given = streaming.fleet_of(spark.range(50).withColumnRenamed("id", "sid"), **options)
+    assert sorted(map(str, given.collect())) == sorted(map(str, made.collect())) and given.where("joins").count() == 20
+    assert streaming.fleet_of(spark.range(0).withColumnRenamed("id", "sid")).count() == 0
+
+
 def test_readers(spark, tmp_path):
     df = spark.createDataFrame([(1, "x"), (2, "y")], "id long, t string")
     for fmt in ("parquet", "orc", "csv", "json"):

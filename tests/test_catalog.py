@@ -21,6 +21,6 @@ def test_entry(spark):
     assert set(catalog.QUERIES) <= set(entry.queries())
 
 
-@pytest.mark.parametrize("name", ["q42c_exp6_scaling", "q67_no_private_columns"])
+@pytest.mark.parametrize("name", ["q42c_exp6_scaling", "q67_no_private_columns", "q68_fleet"])
 def test_query_reads_a_given_table(name, spark, sf):
     assert any(f.endswith(".parquet") and "testdata" in f for f in catalog.QUERIES[name](spark, sf).inputFiles())
