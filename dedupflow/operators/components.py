@@ -2,11 +2,18 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions.storage import discard, written
 
+#: Edges that a task merges at a time.
+CHUNK = 1_000_000
+#: Edges, after each task has merged its own, up to which one task resolves the rest (a chunk at most); more go by rounds of joins.
+FEW = CHUNK
+
 
 class Forest:
     """Union-find over small integers; the smallest member is the root."""
@@ -29,16 +36,61 @@ class Forest:
         return True
 
 
+def smallest_reachable(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Nodes of the edges in order, and the smallest node that each reaches: roots go under the smallest root they meet."""
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = at[: len(u)], at[len(u) :]
+    up = np.arange(len(nodes))
+    while True:
+        a, b = up[a], up[b]
+        apart = a != b
+        if not apart.any():
+            return nodes, nodes[up]
+        a, b = a[apart], b[apart]
+        np.minimum.at(up, np.maximum(a, b), np.minimum(a, b))
+        while (up[up] != up).any():
+            up = up[up]
+
+
+def _merged(batches):
+    """(u, v): every node of the edges with the smallest one it reaches, a chunk of edges at a time; loops and null ends are dropped."""
+    held, size = [], 0
+
+    def rows():
+        node, comp = smallest_reachable(*(np.concatenate(x) for x in zip(*held)))
+        for i in range(0, len(node), 50_000):
+            yield pa.RecordBatch.from_arrays([pa.array(x[i : i + 50_000], pa.int64()) for x in (node, comp)], ["u", "v"])
+
+    for b in batches:
+        if b.num_rows:
+            held.append([c.to_numpy(zero_copy_only=False) for c in b.columns])
+            size += b.num_rows
+        if size >= CHUNK:
+            yield from rows()
+            held, size = [], 0
+    if held:
+        yield from rows()
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, comp) for every node of the edges (u, v): comp is the smallest node reachable.
 
-    Each round takes the minimum over neighbours and then the label's own label, so the rounds grow with the logarithm
+    Tasks first merge what their own edges connect. If few edges are left, one task merges these in a single pass over
+    a bounded number of rows; else they are resolved by rounds of joins. There each round takes the minimum over neighbours and then the label's own label, so the rounds grow with the logarithm
     of the longest path. Every round is written to the shared folder; nothing is collected. Sums by node are combined
     before the shuffle, and a node with very many edges is split by the adaptive skew join. Null ends and loops are
     dropped; without edges the result is empty.
     """
+    left = Observation()
+    own = edges.where("u != v").select(F.col("u").cast("long"), F.col("v").cast("long")).mapInArrow(_merged, "u long, v long").where("u != v")
+    edges = written(own.observe(left, F.count(F.lit(1)).alias("n")), "merged-edges")
+    if left.get["n"] <= FEW:
+        labels = written(edges.coalesce(1).mapInArrow(_merged, "u long, v long").toDF("node", "comp"), "labels")
+        discard(edges)
+        return labels
     # many edges name the same small node: each node keeps its smallest neighbour, and the others meet that one
-    down = written(edges.where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+    down = written(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+    discard(edges)
     least = down.groupBy("u").agg(F.min("v").alias("m"))
     others = down.join(written(least, "least"), "u").where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
     both = least.select("u", F.col("m").alias("v")).union(others.distinct())
